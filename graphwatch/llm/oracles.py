@@ -30,3 +30,15 @@ def _stop_words() -> str:
 
 
 SQL["op10_quality_rules"] = SQL["op10_quality_rules"].replace("{stop}", _stop_words())
+
+SQL["op8_line_dedup"] = r"""
+WITH d AS (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS ls FROM documents),
+l AS (SELECT doc_id, i, ls[i] AS line, lower(trim(ls[i], ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13))) AS u,
+             translate(trim(ls[i], ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') AS key
+      FROM d, unnest(range(1, len(ls) + 1)) AS r(i)),
+k AS (SELECT key, count(DISTINCT doc_id) AS n, max(doc_id) AS last_doc FROM l WHERE length(key) >= 20 GROUP BY key HAVING n >= 3),
+x AS (SELECT l.doc_id, l.i, l.line, k.key IS NOT NULL AND l.doc_id <> k.last_doc AS dropped FROM l LEFT JOIN k ON l.key = k.key)
+SELECT doc_id, count(*)::BIGINT AS n_lines, count(*) FILTER (dropped)::BIGINT AS n_dropped,
+       sha256(coalesce(string_agg(line, chr(10) ORDER BY i) FILTER (NOT dropped), '')) AS kept_sha256
+FROM x GROUP BY doc_id
+"""
