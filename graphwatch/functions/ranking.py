@@ -7,28 +7,29 @@ from pyspark.sql import functions as F
 
 from graphwatch.functions.storage import cut
 
-_PART, _LOCAL = "_rank_part", "_rank_local"
 
+def range_sums(df: DataFrame, order: list[Column], sums: dict[str, Column], by: str | None = None, partitions: int | None = None) -> DataFrame:
+    """Add, for each name in ``sums``, the sum of its column over all rows before this one in ``order``, within ``by``.
 
-def range_positions(df: DataFrame, order: list[Column], out: str, weight: Column | None = None, by: str | None = None, partitions: int | None = None) -> DataFrame:
-    """Add ``out``: the sum of ``weight`` (1 if not given) over all rows before this one in ``order``, within ``by``.
-
-    ``order`` must begin with ``by`` if that is given. Rows are range-partitioned, so that a
-    hot group is spread over many tasks; only one row for each partition (and group in it)
-    meets in the window that adds the offsets up. The sorted rows are checkpointed, since the
-    sum and the offsets must see the same partitions.
+    ``order`` must begin with ``by`` if that is given, and should leave no ties. Rows are
+    range-partitioned, so that a hot group is spread over many tasks; only one row for each
+    partition (and group in it) meets in the window that adds the offsets up. The sorted rows are
+    checkpointed, since sums and offsets must see the same partitions.
     """
-    one = F.lit(1).cast("long") if weight is None else weight.cast("long")
     dealt = df.repartitionByRange(partitions, *order) if partitions else df.repartitionByRange(*order)
     group = [F.col(by)] if by else []
-    rows = cut(
-        dealt.withColumn(_PART, F.spark_partition_id())
-        .withColumn("_w", one)
-        .withColumn(_LOCAL, F.sum("_w").over(Window.partitionBy(_PART, *group).orderBy(*order).rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("_w"))
-    )
-    sums = rows.groupBy(_PART, *group).agg(F.sum("_w").alias("_s"))
-    before = Window.partitionBy(*(group or [F.lit(0)])).orderBy(_PART).rowsBetween(Window.unboundedPreceding, -1)
-    offsets = sums.withColumn("_offset", F.coalesce(F.sum("_s").over(before), F.lit(0))).drop("_s")
-    keys = [rows[_PART] == offsets[_PART], *([rows[by].eqNullSafe(offsets[by])] if by else [])]
-    joined = rows.join(offsets, keys, "left").drop(offsets[_PART], *([offsets[by]] if by else []))
-    return joined.withColumn(out, F.col(_LOCAL) + F.coalesce(F.col("_offset"), F.lit(0))).drop(_PART, _LOCAL, "_w", "_offset")
+    within = Window.partitionBy("_part", *group).orderBy(*order).rowsBetween(Window.unboundedPreceding, -1)
+    rows = dealt.withColumn("_part", F.spark_partition_id())
+    rows = rows.withColumns({f"_w_{k}": c.cast("long") for k, c in sums.items()})
+    rows = cut(rows.withColumns({f"_l_{k}": F.coalesce(F.sum(f"_w_{k}").over(within), F.lit(0)) for k in sums}))
+    totals = rows.groupBy("_part", *group).agg(*[F.sum(f"_w_{k}").alias(f"_s_{k}") for k in sums])
+    before = Window.partitionBy(*(group or [F.lit(0)])).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = totals.select(F.col("_part").alias("_p"), *([F.col(by).alias("_b")] if by else []), *[F.coalesce(F.sum(f"_s_{k}").over(before), F.lit(0)).alias(f"_o_{k}") for k in sums])
+    on = F.col("_part") == F.col("_p")
+    joined = rows.join(offsets, on & F.col(by).eqNullSafe(F.col("_b")) if by else on, "left")
+    return joined.select(*df.columns, *[(F.col(f"_l_{k}") + F.coalesce(F.col(f"_o_{k}"), F.lit(0))).alias(k) for k in sums])
+
+
+def range_rank(df: DataFrame, order: list[Column], out: str, by: str | None = None) -> DataFrame:
+    """Add ``out``, the place of the row in ``order`` (within ``by``), from 0."""
+    return range_sums(df, order, {out: F.lit(1)}, by)
