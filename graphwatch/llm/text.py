@@ -32,3 +32,8 @@ def words(text: Column) -> Column:
 
 def count_words(text: Column | str) -> Column:
     return F.regexp_count(text_or_empty(text), F.lit(WORD_PATTERN)).cast("long")
+
+
+def once(value: Column) -> Column:
+    """value, in a form that the optimizer does not copy into the places that use it (each of which would compute it again)."""
+    return F.when(F.rand(0) >= 0, value)
