@@ -11,6 +11,8 @@ shard, draws are ordered by a hash. Everything is SQL functions; randomness is h
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -44,43 +46,61 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, share:
     return ranked.select("source", "si", "source_size", F.least("cap", F.lit(rate) * F.col("w")).alias("target"))
 
 
+def _let(value: Column, use: Callable[[Column], Column]) -> Column:
+    """use(value), with value computed once and named, so that expressions stay small."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
 def _ln_factorial(n: Column) -> Column:
-    """Stirling's series after a shift by eight."""
-    z = n + 9.0
-    series = (z - 0.5) * F.log(z) - z + 0.9189385332046727 + 1 / (12 * z) - 1 / (360 * z * z * z) + 1 / (1260 * z * z * z * z * z)
-    shift = F.lit(0.0)
-    for i in range(1, 9):
-        shift = shift + F.log(n + float(i))
-    return series - shift
+    """Stirling's series after a shift by eight; n is a double."""
+
+    def series(x: Column) -> Column:
+        product = x + 1.0
+        for i in range(2, 9):
+            product = product * (x + float(i))
+        z = x + 9.0
+        return (z - 0.5) * F.log(z) - z + 0.9189385332046727 + 1 / (12 * z) - 1 / (360 * z * z * z) + 1 / (1260 * z * z * z * z * z) - F.log(product)
+
+    return _let(n, series)
 
 
 def hypergeometric(white: Column, black: Column, draws: Column, u: Column) -> Column:
-    """How many of ``draws`` from white + black are white: the inverse of the distribution at u, taken from the mode outwards."""
+    """How many of ``draws`` from white + black are white: the inverse of the distribution at u, taken from the mode outwards.
+
+    The steps end 40 deviations from the mode, beyond what a double can show.
+    """
+
+    def bounds(a: Column) -> Column:
+        low, high = F.greatest(F.lit(0.0), a["k"] - a["b"]), F.least(a["k"], a["w"])
+        mode = F.floor((a["k"] + 1) * (a["w"] + 1) / (a["w"] + a["b"] + 2)).cast("double")
+        every = a["w"] + a["b"]
+        spread = F.sqrt(a["k"] * a["w"] * a["b"] * (every - a["k"]) / (every * every * F.greatest(every - 1, F.lit(1.0))))
+        return F.struct(a["w"].alias("w"), a["b"].alias("b"), a["k"].alias("k"), a["u"].alias("u"), low.alias("low"), high.alias("high"), F.greatest(low, F.least(high, mode)).alias("mode"), F.coalesce(spread, F.lit(0.0)).alias("spread"))
+
+    def drawn(a: Column) -> Column:
+        choose = lambda n, k: _ln_factorial(n) - _ln_factorial(k) - _ln_factorial(n - k)
+        top = F.exp(choose(a["w"], a["mode"]) + choose(a["b"], a["k"] - a["mode"]) - choose(a["w"] + a["b"], a["k"]))
+
+        def walk(p: Column) -> Column:
+            start = F.struct((a["u"] - p).alias("u"), a["mode"].alias("up"), p.alias("pu"), a["mode"].alias("down"), p.alias("pd"), F.when(a["u"] < p, a["mode"]).alias("got"))
+
+            def step(s: Column, _: Column) -> Column:
+                more = F.when(s["up"] < a["high"], s["pu"] * (a["w"] - s["up"]) * (a["k"] - s["up"]) / ((s["up"] + 1) * (a["b"] - a["k"] + s["up"] + 1))).otherwise(0.0)
+                less = F.when(s["down"] > a["low"], s["pd"] * s["down"] * (a["b"] - a["k"] + s["down"]) / ((a["w"] - s["down"] + 1) * (a["k"] - s["down"] + 1))).otherwise(0.0)
+
+                def after(m: Column) -> Column:
+                    got = F.when(s["got"].isNotNull(), s["got"]).when(s["u"] < m["more"], s["up"] + 1).when(s["u"] < m["more"] + m["less"], s["down"] - 1)
+                    return F.struct((s["u"] - m["more"] - m["less"]).alias("u"), (s["up"] + 1).alias("up"), m["more"].alias("pu"), (s["down"] - 1).alias("down"), m["less"].alias("pd"), got.alias("got"))
+
+                return _let(F.struct(more.alias("more"), less.alias("less")), after)
+
+            steps = F.least(a["high"] - a["low"], 40 * a["spread"] + 60).cast("long")
+            return F.aggregate(F.sequence(F.lit(1).cast("long"), F.greatest(steps, F.lit(1).cast("long"))), start, step, lambda s: F.coalesce(s["got"], a["mode"]))
+
+        return F.when(a["low"] >= a["high"], a["low"]).otherwise(_let(top, walk)).cast("long")
+
     d = lambda c: c.cast("double")
-    low, high = F.greatest(F.lit(0).cast("long"), draws - black), F.least(draws, white)
-    mode = F.greatest(low, F.least(high, F.floor((d(draws) + 1) * (d(white) + 1) / (d(white) + d(black) + 2)).cast("long")))
-    choose = lambda n, k: _ln_factorial(d(n)) - _ln_factorial(d(k)) - _ln_factorial(d(n) - d(k))
-    top = F.exp(choose(white, mode) + choose(black, draws - mode) - choose(white + black, draws))
-    every = d(white) + d(black)
-    deviation = F.sqrt(d(draws) * d(white) * d(black) * (every - d(draws)) / (every * every * F.greatest(every - 1, F.lit(1.0))))
-    steps = F.least(high - low, F.ceil(40 * deviation).cast("long") + 60)
-    start = F.struct(
-        (u - top).alias("u"), mode.alias("up"), top.alias("pu"), mode.alias("down"), top.alias("pd"),
-        F.when(u < top, mode).alias("got"),
-    )
-
-    def step(s: Column, _: Column) -> Column:
-        up, down = d(s["up"]), d(s["down"])
-        more = F.when(s["up"] < high, s["pu"] * (d(white) - up) * (d(draws) - up) / ((up + 1) * (d(black) - d(draws) + up + 1))).otherwise(0.0)
-        less = F.when(s["down"] > low, s["pd"] * down * (d(black) - d(draws) + down) / ((d(white) - down + 1) * (d(draws) - down + 1))).otherwise(0.0)
-        got = F.when(s["got"].isNotNull(), s["got"]).when(s["u"] < more, s["up"] + 1).when(s["u"] < more + less, s["down"] - 1)
-        return F.struct(
-            (s["u"] - more - less).alias("u"), F.least(s["up"] + 1, high).alias("up"), more.alias("pu"),
-            F.greatest(s["down"] - 1, low).alias("down"), less.alias("pd"), got.alias("got"),
-        )
-
-    drawn = F.aggregate(F.sequence(F.lit(1).cast("long"), F.greatest(steps, F.lit(1).cast("long"))), start, step, lambda s: F.coalesce(s["got"], mode))
-    return F.when(every <= 0, F.lit(0).cast("long")).when(low >= high, low).otherwise(drawn)
+    return _let(F.struct(d(white).alias("w"), d(black).alias("b"), d(draws).alias("k"), u.alias("u")), lambda a: _let(bounds(a), drawn))
 
 
 def shard_quotas(draws: DataFrame, shards: int = SHARDS, seed: int = SEED) -> DataFrame:
@@ -98,10 +118,12 @@ def shard_quotas(draws: DataFrame, shards: int = SHARDS, seed: int = SEED) -> Da
 
         def split(s: Column, x: Column) -> Column:
             got = hypergeometric(x["n"], s["left"] - x["n"], s["take"], u_of(x["i"]))
-            return F.transform(F.array(got), lambda g: F.struct((s["left"] - x["n"]).alias("left"), (s["take"] - g).alias("take"), F.concat(s["out"], F.array(g)).alias("out")))[0]
+            return _let(got, lambda g: F.struct((s["left"] - x["n"]).alias("left"), (s["take"] - g).alias("take"), F.concat(s["out"], F.array(g)).alias("out")))
 
         node = node.withColumn("_half", half).withColumn("_total", total).withColumn("_take", F.floor(F.col("_total") * F.col("_half") / F.col("width")).cast("long"))
-        node = node.withColumn("_left", F.when(F.col("width") > 1, F.aggregate(F.transform("n", lambda x, i: F.struct(x.alias("n"), i.alias("i"))), start, split, lambda s: s["out"])).otherwise(F.col("n")))
+        halved = F.aggregate(F.transform("n", lambda x, i: F.struct(x.alias("n"), i.alias("i"))), start, split, lambda s: s["out"])
+        # One level's plan at a time: the table has one row for each node.
+        node = cut(node.withColumn("_left", F.when(F.col("width") > 1, halved).otherwise(F.col("n"))))
         node = node.withColumn("_right", F.zip_with("n", "_left", lambda a, b: a - b))
         one = F.struct(F.col("first"), F.greatest(F.col("_half"), F.lit(1)).alias("width"), F.col("_left").alias("n"))
         two = F.struct((F.col("first") + F.col("_half")).alias("first"), (F.col("width") - F.col("_half")).alias("width"), F.col("_right").alias("n"))

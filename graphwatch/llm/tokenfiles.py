@@ -37,7 +37,7 @@ WRITER = {
 }
 _SCHEMA = "shard int, doc_id long, n_tokens int, local_start long, tokens array<int>"
 #: Distinct words of which a worker keeps the ids; then it starts anew. Only speed depends on it.
-CACHE_WORDS = 1_000_000
+CACHE_WORDS = 600_000
 #: Letters and marks on which all Unicode versions agree, so that a word of these alone is normalised here.
 _PLAIN = re.compile(r"[!-~À-ÖØ-öø-ÿ]+")
 _PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|[0-9]|(?:[^\s\w]|_)+")
@@ -101,6 +101,12 @@ class WordIds(dict):
         return got
 
 
+@lru_cache(1)
+def word_ids(path: str) -> WordIds:
+    """One for each worker process, which runs many tasks."""
+    return WordIds(path)
+
+
 def encode_text(ids: WordIds, text: str | None) -> bytes:
     """All ids of a text, without the end id. Null is empty."""
     return b"".join(map(ids.__getitem__, text.encode().split())) if text else b""
@@ -114,7 +120,7 @@ def encode_documents(docs: DataFrame, tokenizer: str, text: str = "text", doc_id
     """
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, end, start, shard = WordIds(tokenizer), np.array([end_id], "<u4").tobytes(), 0, TaskContext.get().partitionId()
+        ids, end, start, shard = word_ids(tokenizer), np.array([end_id], "<u4").tobytes(), 0, TaskContext.get().partitionId()
         names, starts, parts, size = [], [], [], 0
 
         def made():
