@@ -77,14 +77,13 @@ def _measures(docs: DataFrame, text: str) -> DataFrame:
     # The first words nearly always settle the stop-word rule; only otherwise is the rest looked at.
     base = base.withColumn("stop_words", F.when(F.col("_stop_head") >= 2, F.col("_stop_head")).otherwise(found).cast("long"))
     per = lambda x, y: F.when(F.col(y) > 0, F.col(x) / F.col(y)).otherwise(F.lit(0.0))
-    # A filter on a verdict must stay above this step: below it, the arrays would be computed again for each use.
     return base.select(
         "_doc",
-        *[once(F.col(c)).alias(c) for c in "n_words word_chars n_symbols n_dup_lines n_repeat_words n_lines stop_words".split()],
-        once(per("n_repeat_words", "n_words")).alias("repeat_ratio"),
-        once(per("word_chars", "n_words")).alias("mean_word_chars"),
-        once(per("n_symbols", "n_words")).alias("symbols_per_word"),
-        once(per("n_dup_lines", "n_lines")).alias("dup_line_ratio"),
+        *"n_words word_chars n_symbols n_dup_lines n_repeat_words n_lines stop_words".split(),
+        per("n_repeat_words", "n_words").alias("repeat_ratio"),
+        per("word_chars", "n_words").alias("mean_word_chars"),
+        per("n_symbols", "n_words").alias("symbols_per_word"),
+        per("n_dup_lines", "n_lines").alias("dup_line_ratio"),
     )
 
 
@@ -115,7 +114,8 @@ def judge(docs: DataFrame, text: str = "text", rules: tuple[Rule, ...] = RULES)
 
 def keep_good(docs: DataFrame, text: str = "text", rules: tuple[Rule, ...] = RULES) -> DataFrame:
     """The documents that break no rule, with the columns they had."""
-    return judge(docs, text, rules).filter("kept").select("_doc.*")
+    # The filter must stay above the projection: below it, the arrays would be computed again for each use.
+    return judge(docs, text, rules).select("_doc", once(F.col("kept")).alias("_kept")).filter("_kept").select("_doc.*")
 
 
 def op10_query(spark, sf_dir: str) -> DataFrame:

@@ -36,4 +36,4 @@ def count_words(text: Column | str) -> Column:
 
 def once(value: Column) -> Column:
     """value, in a form that the optimizer does not copy into the places that use it (each of which would compute it again)."""
-    return F.when(F.rand(0) >= 0, value)
+    return F.when(F.spark_partition_id() >= 0, value)
