@@ -127,26 +127,30 @@ def run_tree(edges: DataFrame, tree: JoinTree, graph: QueryGraph, gated: bool =
     """All matches: v_* and e_* columns and last_eid, the edge with which the match is complete.
 
     Ungated, every piece is matched everywhere. Gated, only leaf 0 is; leaf i is matched at vertices
-    of the prefix matches: at its own cut vertices (role) or at any vertex of a match (vertex).
-    back=False keeps only leaf matches that are complete after their prefix. Prefixes of a gated run
-    are checkpointed: each is used for the gate and for the join.
+    of the prefix matches. With gate="role" those are its own cut vertices, and the lookup is the join
+    itself: a piece's edges are joined to the prefix one by one, the one at the cut first, so that no
+    pair is made where no prefix match is. With gate="vertex" an edge passes at any vertex of a match
+    (the bitmap's form) before it is paired; prefixes are then used twice and so checkpointed.
+    back=False keeps only leaf matches that are complete after their prefix.
     """
     kinds = edge_kinds(tree)
     prefix = leaf_matches(edges, tree.leaves[0], graph, semantics)
     for i, leaf in enumerate(tree.leaves[1:], 1):
         at = tree.cut(i)
-        gates = None
-        if gated and at:
-            prefix = cut(prefix)
-            if gate == "role":
-                gates = {v: project_cut(prefix, [v]).withColumnRenamed(f"v_{v}", "vid") for v in at}
-            else:
-                anywhere = gate_rows(prefix, i).select("vid")
-                gates = {v: anywhere for v in at}
-        own = leaf_matches(edges, leaf, graph, semantics, gates)
-        joined = join_bindings(prefix, own, kinds, semantics)
+        names = [f"e_{e.name}" for e in leaf.edges]
+        before = prefix.columns
+        if gated and at and gate == "role":
+            joined = prefix
+            for e in sorted(leaf.edges, key=lambda e: not set(e.ends) & set(at)):
+                joined = join_bindings(joined, edge_matches(edges, e, graph, semantics), kinds, semantics)
+        else:
+            gates = None
+            if gated and at:
+                prefix = cut(prefix)
+                gates = dict.fromkeys(at, gate_rows(prefix, i).select("vid"))
+            joined = join_bindings(prefix, leaf_matches(edges, leaf, graph, semantics, gates), kinds, semantics)
         if not back:
-            joined = joined.filter(last_eid(own.columns) > last_eid(prefix.columns))
+            joined = joined.filter(last_eid(names) > last_eid(before))
         prefix = joined
     out = prefix.withColumn("last_eid", last_eid(prefix.columns))
     return within_window(out, edges, within) if within else out
