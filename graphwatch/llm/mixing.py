@@ -74,7 +74,7 @@ def hypergeometric(white: Column, black: Column, draws: Column, u: Column) -> Co
         low, high = F.greatest(F.lit(0.0), a["k"] - a["b"]), F.least(a["k"], a["w"])
         mode = F.floor((a["k"] + 1) * (a["w"] + 1) / (a["w"] + a["b"] + 2)).cast("double")
         every = a["w"] + a["b"]
-        spread = F.sqrt(a["k"] * a["w"] * a["b"] * (every - a["k"]) / (every * every * F.greatest(every - 1, F.lit(1.0))))
+        spread = F.sqrt(a["k"] * a["w"] * a["b"] * (every - a["k"]) / F.greatest(every * every * (every - 1), F.lit(1.0)))
         return F.struct(a["w"].alias("w"), a["b"].alias("b"), a["k"].alias("k"), a["u"].alias("u"), low.alias("low"), high.alias("high"), F.greatest(low, F.least(high, mode)).alias("mode"), F.coalesce(spread, F.lit(0.0)).alias("spread"))
 
     def drawn(a: Column) -> Column:
