@@ -54,8 +54,8 @@ _MADE: dict[tuple, DataFrame] = {}
 
 
 def _kept(spark: SparkSession, key: tuple, make) -> DataFrame:
-    """A graph is built once for a session and folder."""
-    key = (id(spark._jsparkSession), *key)
+    """A graph is built once for an application and folder."""
+    key = (spark.sparkContext.applicationId, *key)
     if key not in _MADE:
         _MADE[key] = cut(make())
     return _MADE[key]
