@@ -5,12 +5,14 @@ words are looked up at every place of every text, so a substituted word hides a
 the masks that pick it. At a hit, text and item are compared word by word along the hit's diagonal,
 within a fixed radius; the best stretch with at least ``similarity`` equal words decides.
 
-Test hashes are tested against a bitmap of fixed size inside the projection, which lets through all
-true hits and few others; only those become rows and are joined with the test hashes.
+Inside the projection, words and hashes are tested against bitmaps of fixed size, which let through
+all true hits and few others; only those become rows and are joined with the test hashes.
 """
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -23,8 +25,9 @@ MASKS = ((0, 1, 2, 4, 5), (0, 1, 3, 5, 6), (0, 2, 3, 6, 7))
 RADIUS, MIN_WORDS, SIMILARITY, SHARE = 64, 8, 0.8, 0.5
 #: A test set of at most so many words is broadcast; a larger one is joined by shuffling.
 BROADCAST_WORDS = 300_000
-#: Bytes of the bitmap at least and at most.
+#: Bytes of the bitmap of test hashes, and longs of that of test words, at least and at most.
 BITMAP_BYTES = (1 << 13, 1 << 20)
+WORD_LONGS = (1 << 8, 1 << 12)
 _EDGE = ".,;:!?\"'()[]{}*#"
 
 
@@ -73,6 +76,21 @@ def _in_bitmap(bitmap: Column, seed: Column, size: int) -> Column:
     return F.call_function("shiftright", have, bit.cast("int")).bitwiseAND(1) == 1
 
 
+def _known_words(items: DataFrame, longs: int) -> Column:
+    """A literal array of longs in which each word of the test set has set one bit."""
+    word = items.select(F.explode("item").alias("w"))
+    bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.col("w").bitwiseAND(63).cast("int"))
+    rows = word.select(F.call_function("shiftrightunsigned", "w", F.lit(6)).bitwiseAND(longs - 1).alias("i"), bit.alias("b")).groupBy("i").agg(F.bit_or("b").alias("b")).collect()
+    have = {r.i: r.b for r in rows}
+    return F.expr("array(" + ",".join(f"bigint('{have.get(i, 0)}')" for i in range(longs)) + ")")
+
+
+def _if_known(bits: Column, w: Column, longs: int) -> Column:
+    """The hash, or 0 for a word that the test set does not have."""
+    long = F.get(bits, F.call_function("shiftrightunsigned", w, F.lit(6)).bitwiseAND(longs - 1).cast("int"))
+    return F.when(F.call_function("shiftrightunsigned", long, w.bitwiseAND(63).cast("int")).bitwiseAND(1) == 1, w).otherwise(F.lit(0).cast("long"))
+
+
 def contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text", doc_id: str = "doc_id", bench_text: str = "text", item_id: str = "item_id") -> DataFrame:
     """doc_id, item_id, item_words, matched_words, first_word: one row for each document and item that overlap.
 
@@ -88,9 +106,19 @@ def contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text", doc
     while size < BITMAP_BYTES[1] and size < 8 * n_words * len(MASKS):
         size *= 2
     bitmap = _bitmap(seeds, size)
+    longs = WORD_LONGS[0]
+    while longs < WORD_LONGS[1] and 2 * longs < n_words:
+        longs *= 2
+    known = _known_words(items, longs)
     rows = docs.filter(docs[doc_id].isNotNull()).select(docs[doc_id].alias("doc_id"), once(word_hashes(text_or_empty(docs[text]))).alias("h"))
+    rows = rows.select("doc_id", once(F.transform("h", lambda w: _if_known(known, w, longs))).alias("h"))
     def found(m: int) -> Column:
-        kept = F.filter(_places("h", m), lambda i: _in_bitmap(bitmap, _seed("h", i, m), size))
+        def may(i: Column) -> Column:
+            """All picked words are words of the test set, and so is their hash one of its hashes."""
+            words_known = [F.get("h", i + p if p else i) != 0 for p in MASKS[m]]
+            return reduce(lambda a, b: a & b, words_known) & _in_bitmap(bitmap, _seed("h", i, m), size)
+
+        kept = F.filter(_places("h", m), may)
         return F.transform(kept, lambda i: F.struct(_seed("h", i, m).alias("seed"), i.alias("p")))
 
     rows = rows.select("doc_id", "h", once(F.concat(*map(found, range(len(MASKS))))).alias("hits"))
