@@ -161,3 +161,33 @@ def test_stream_equals_batch(spark, tmp_path):
         assert rows_of(spark.table("found")) == brute(rows, graph)
     finally:
         query.stop()
+
+
+def test_whole_counts_reach_past_every_window(spark, monkeypatch):
+    from graphwatch import catalogue
+
+    r = random.Random(8)
+    facets = ["part", "supplier", "customer", "nation"]
+    # No edge is in the first 20,000 (or 5,000, or 3,000) of its stream.
+    rows = [(30_000 + i, a, 100 * k + f, facets[k]) for i, (a, k, f) in enumerate(sorted({(r.randrange(6), r.randrange(4), 10 + r.randrange(3)) for _ in range(60)}))]
+    monkeypatch.setitem(catalogue.GRAPHS, "facet", lambda s, d: frame(spark, rows))
+    found = catalogue.queries()
+    for name, graph in workload.facet_diamonds().items():
+        assert found[f"{name}__count_whole"](spark, "").first().n == len(brute(rows, graph)) > 0
+    hosts = [(30_000 + i, s, d, k) for i, s, d, k in random_rows(11)]
+    monkeypatch.setitem(catalogue.GRAPHS, "host", lambda s, d: frame(spark, hosts))
+    monkeypatch.setitem(catalogue.GRAPHS, "trade", lambda s, d: frame(spark, hosts))
+    plain = sorted({(min(s, d), max(s, d), k) for _, s, d, k in hosts if s != d})
+    want = {}
+    for three in itertools.combinations(plain, 3):
+        if len({x[:2] for x in three}) == 3 and len({v for x in three for v in x[:2]}) == 3:
+            kinds = ",".join(sorted(x[2] for x in three))
+            want[kinds] = want.get(kinds, 0) + 1
+    assert {x.kinds: x.n for x in found["triangles_whole"](spark, "").collect()} == want
+    inc = [(s, "o:" + k, d) for _, s, d, k in hosts if s != d] + [(d, "i:" + k, s) for _, s, d, k in hosts if s != d]
+    pairs = {}
+    for a, b in itertools.combinations(inc, 2):
+        if a[0] == b[0] and a[2] != b[2]:
+            key = tuple(sorted((a[1], b[1])))
+            pairs[key] = pairs.get(key, 0) + 1
+    assert {(x.sig1, x.sig2): x.cnt for x in found["paths_strict_trade_whole"](spark, "").collect()} == pairs
