@@ -1,9 +1,11 @@
 """Licence scans by patience alignment.
 
-Around each trigger word of a template, a window of the text is aligned with the template: words that
+Around each opener of a template, a window of the text is aligned with the template: words that
 occur once in both are anchors, a longest increasing subsequence of them is kept, and the gaps
 between anchors are aligned in the same way. Coverage is the share of the template's words that the
-alignment reaches. Spark's scan leaves out texts without any trigger, and only those.
+alignment reaches. A template has one opener more than words that a covered text may lack, so that no
+change of words that keeps the coverage hides all of them. Spark's scan leaves out texts without any
+opener, and only those.
 """
 
 from __future__ import annotations
@@ -13,7 +15,7 @@ from bisect import bisect_left
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
-from functools import cached_property
+from functools import cache, cached_property
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -33,8 +35,8 @@ TEMPLATES = {
     "CC": "This work is licensed under a Creative Commons Attribution License",
 }
 MIN_COVERAGE, SLACK = 0.8, 0.25
-#: Words of which every template has at least one.
-TRIGGERS = ("license", "licensed", "licence", "licenced", "permission", "redistribution")
+#: Words that open windows only if a template has too few others. The result does not depend on them.
+COMMON = frozenset("a an and any are as at by following for in is it may met not obtain of or person program provided source terms that the this to under use version with without work you".split())
 _WORD = re.compile(r"[^\W_]+(?:[.\-][^\W_]+)*")
 
 
@@ -47,10 +49,15 @@ class Template:
     def words(self) -> list[str]:
         return _WORD.findall(self.text.lower())
 
-    @cached_property
-    def triggers(self) -> list[tuple[str, int]]:
-        """(trigger word, its place); all places, since any of them may have been changed in a text."""
-        return [(w, i) for i, w in enumerate(self.words) if w in TRIGGERS]
+    def least(self, min_coverage: float) -> int:
+        """The words that an alignment must reach; at least one."""
+        return next((k for k in range(1, len(self.words) + 1) if k >= min_coverage * len(self.words)), len(self.words) + 1)
+
+    @cache
+    def openers(self, min_coverage: float) -> list[tuple[str, int]]:
+        """(word, its place) of the rarer words: of so many, an alignment that covers enough reaches at least one."""
+        places = sorted(enumerate(self.words), key=lambda x: (x[1] in COMMON, -len(x[1]), x[0]))
+        return [(w, i) for i, w in places[: len(self.words) - self.least(min_coverage) + 1]]
 
 
 def align(a: list[str], b: list[str], a0: int = 0, a1: int | None = None, b0: int = 0, b1: int | None = None) -> list[tuple[int, int]]:
@@ -93,18 +100,23 @@ def scan_text(text: str, templates: list[Template], min_coverage: float = MIN_CO
     """(template, first word, word after the last, coverage), best first among those that overlap in the text."""
     words = _WORD.findall(text.lower())
     places: dict[str, list[int]] = {}
+    opening = {t: t.openers(min_coverage) for t in templates}
+    known = {w for x in opening.values() for w, _ in x}
     for i, w in enumerate(words):
-        if w in TRIGGERS:
+        if w in known:
             places.setdefault(w, []).append(i)
     found = set()
     for t in templates:
         n = len(t.words)
         slack = max(1, int(n * SLACK))
-        for word, at in t.triggers:
+        least, own = t.least(min_coverage), Counter(t.words)
+        for word, at in opening[t]:
             for p in places.get(word, ()):
                 lo, hi = max(0, p - at - slack), min(len(words), p - at + n + slack)
+                if (own & Counter(words[lo:hi])).total() < least:
+                    continue
                 pairs = align(words, t.words, lo, hi)
-                if pairs and len(pairs) >= min_coverage * n:
+                if len(pairs) >= least:
                     found.add((t.name, pairs[0][0], pairs[-1][0] + 1, round(len(pairs) / n, 6), len(pairs)))
     out: list[tuple] = []
     # The longest match of a place wins, and of equals the better covered, the earlier, the first name.
@@ -118,11 +130,12 @@ def license_matches(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
     """doc_id, license, first_word, end_word, coverage: one row for each licence text in each row of docs.
 
     Null and empty texts have none. Repeated rows give repeated results. A null doc_id stays null.
-    Templates without a trigger word are refused.
+    Templates without a word are refused.
     """
     known = [Template(k, v) for k, v in templates.items()]
-    if bare := [t.name for t in known if not t.triggers]:
-        raise ValueError(f"templates without a trigger word: {bare}")
+    if bare := [t.name for t in known if not t.words]:
+        raise ValueError(f"templates without a word: {bare}")
+    openers = sorted({w for t in known for w, _ in t.openers(min_coverage)})
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -131,7 +144,7 @@ def license_matches(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.float64()], strict=True)], ["doc_id", "license", "first_word", "end_word", "coverage"])
 
     rows = docs.select(docs[doc_id].cast("long").alias("doc_id"), docs[text].cast("string").alias("text"))
-    rows = rows.filter(F.col("text").rlike("(?i)" + "|".join(TRIGGERS)))
+    rows = rows.filter(F.col("text").rlike("(?iu)" + "|".join(map(re.escape, openers))))
     return rows.mapInArrow(run, "doc_id long, license string, first_word long, end_word long, coverage double")
 
 

@@ -93,6 +93,27 @@ def test_licenses(spark):
     assert got[1] == [("MIT-line", 1.0)] and got[4][0][0] == "MIT" and 0.9 < got[4][0][1] < 1 and len(got[5]) == 2 and set(got) == {1, 4, 5}
 
 
+def test_licenses_whose_trigger_word_is_changed(spark):
+    long = {k: licenses.TEMPLATES[k] for k in ("MIT", "BSD")}
+    rows = [
+        ("MIT-line", "Released under the MIT Licence."),
+        ("GPL-3.0-line", "This work is licenced under the GNU General Public Licence, version 3."),
+        ("CC", "This work is licenced under a Creative Commons Attribution Licence"),
+        *((k, v.replace(v.split()[0], w, 1)) for k, v in long.items() for w in ("Xyz", v[:5] + "-\n" + v[5:].split()[0])),
+    ]
+    got = licenses.license_matches(spark.createDataFrame([(i, prose(i, 30) + "\n" + t) for i, (_, t) in enumerate(rows)], "doc_id long, text string")).collect()
+    assert sorted((r.doc_id, r.license) for r in got) == [(i, k) for i, (k, _) in enumerate(rows)]
+    # Whichever words are lost, as long as enough are left.
+    r = random.Random(6)
+    for name, text in licenses.TEMPLATES.items():
+        t = licenses.Template(name, text)
+        for _ in range(40):
+            lost = r.sample(range(len(t.words)), len(t.words) - t.least(licenses.MIN_COVERAGE))
+            words = [f"zz{i}" if i in lost else w for i, w in enumerate(t.words)]
+            reached = len(licenses.align(words, t.words)) >= t.least(licenses.MIN_COVERAGE)
+            assert bool(licenses.scan_text(" ".join(words), [t])) == reached
+
+
 def test_alignment_is_increasing_and_equal():
     r = random.Random(2)
     for _ in range(200):
