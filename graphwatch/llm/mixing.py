@@ -180,14 +180,18 @@ def mixed_documents(docs: DataFrame, text: str = "text", source: str = "source",
     """The mix as documents: a row of docs for each time that it is drawn whole, with the columns that docs has."""
     rows, draws = mix(docs, text, source, doc_id, **(settings | {"block_words": None}))
     times = draws.groupBy("doc_id", "source", "size", "row").count()
-    # Rows that agree in doc_id, source and size share their number of draws as evenly as whole numbers allow.
+    # Rows that agree in doc_id, source and size share their number of draws as evenly as whole numbers allow; the first take what is left over.
     share = times.groupBy("doc_id", "source", "size").agg(F.sum("count").alias("_n")).withColumnsRenamed({k: f"_{k}" for k in ("doc_id", "source", "size")})
     all_rows = rows.groupBy("doc_id", "source", "size").agg(F.count("*").alias("_m")).withColumnsRenamed({k: f"_{k}" for k in ("doc_id", "source", "size")})
     plan = all_rows.alias("a").join(share.alias("b"), F.col("a._doc_id").eqNullSafe(F.col("b._doc_id")) & F.col("a._source").eqNullSafe(F.col("b._source")) & (F.col("a._size") == F.col("b._size")))
-    plan = plan.select("a._doc_id", "a._source", "a._size", F.floor(F.col("_n") / F.col("_m")).cast("int").alias("_each"))
+    plan = plan.select("a._doc_id", "a._source", "a._size", F.floor(F.col("_n") / F.col("_m")).cast("int").alias("_each"), (F.col("_n") % F.col("_m")).alias("_over"))
     whole = docs.select(F.struct("*").alias("_doc"), docs[doc_id].alias("_i"), docs[source].alias("_s"), count_words(docs[text]).alias("_z"))
     whole = whole.join(plan, F.col("_i").eqNullSafe(F.col("_doc_id")) & F.col("_s").eqNullSafe(F.col("_source")) & (F.col("_z") == F.col("_size")))
-    return whole.filter("_each > 0").select("_doc", F.explode(F.sequence(F.lit(1), F.col("_each")))).select("_doc.*")
+    even = whole.filter("_each > 0").select("_doc", F.explode(F.sequence(F.lit(1), F.col("_each")))).select("_doc.*")
+    # Only rows of groups with something left over are ordered; which of equal rows is first makes no difference.
+    order = Window.partitionBy("_i", "_s", "_z").orderBy(F.xxhash64("_t"), "_t")
+    over = whole.filter("_over > 0").withColumn("_t", F.col("_doc").getField(text)).withColumn("_place", F.row_number().over(order))
+    return even.unionByName(over.filter("_place <= _over").select("_doc.*"))
 
 
 def op6_query(spark, sf_dir: str) -> DataFrame:

@@ -193,6 +193,18 @@ def test_mixing(spark, docs):
     assert mixing.mixed_documents(docs).columns == docs.columns
 
 
+def test_repeated_rows_are_mixed_as_often_as_drawn(spark, monkeypatch):
+    docs = spark.createDataFrame([(1, "a b c", "s")] * 2 + [(2, "d e f", "s")] * 3 + [(3, "g", None), (None, "h i", "s")], "doc_id long, text string, source string")
+    for n in (1, 2, 3):
+        rows, _ = mixing.mix(docs, block_words=None)
+        some = "doc_id is null or doc_id = 3 or row = 1"
+        draws = rows.filter(some).withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(n)))).withColumn("n_words", F.col("size"))
+        with monkeypatch.context() as m:
+            m.setattr(mixing, "mix", lambda *a, **k: (rows, draws))
+            got = Counter(r.doc_id for r in mixing.mixed_documents(docs).collect())
+        assert got == {1: n, 2: n, 3: n, None: n}
+
+
 def test_hypergeometric_draws(spark):
     u = F.pmod(F.xxhash64("id"), F.lit(1 << 53)).cast("double") / float(1 << 53)
     lit = lambda x: F.lit(x).cast("long")
