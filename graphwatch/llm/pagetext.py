@@ -11,7 +11,6 @@ reader comments go even where their words differ from page to page.
 from __future__ import annotations
 
 import re
-from bisect import bisect_left
 from collections.abc import Iterator
 from dataclasses import dataclass
 from html import unescape
@@ -113,33 +112,38 @@ def _words_of(attributes: str) -> list[str]:
 
 
 def common_lines(a: list[str], b: list[str]) -> set[int]:
-    """Places in a of a longest common subsequence with b, where a line's k-th occurrence stands for the other page's k-th; n log n."""
-    count: dict[str, int] = {}
-    where: dict[tuple[str, int], int] = {}
-    for j, x in enumerate(b):
-        where[x, count.get(x, 0)] = j
-        count[x] = count.get(x, 0) + 1
-    count.clear()
-    pairs = []
-    for i, x in enumerate(a):
-        k = count.get(x, 0)
-        count[x] = k + 1
-        if (j := where.get((x, k))) is not None:
-            pairs.append((i, j))
-    tails: list[int] = []
-    ends: list[int] = []
-    back: list[int] = []
-    for n, (_, j) in enumerate(pairs):
-        k = bisect_left(tails, j)
-        back.append(ends[k - 1] if k else -1)
-        if k == len(tails):
-            tails.append(j), ends.append(n)
+    """Places in a of a longest common subsequence with b.
+
+    Equal ends are taken off first. Of the rest, row i of the table of lengths is one whole number
+    with a bit for each line of b, which is 0 where the length grows, so a row costs a few additions.
+    """
+    low, top = 0, min(len(a), len(b))
+    while low < top and a[low] == b[low]:
+        low += 1
+    same = 0
+    while same < top - low and a[-1 - same] == b[-1 - same]:
+        same += 1
+    out = set(range(low)) | set(range(len(a) - same, len(a)))
+    n, m = len(a) - low - same, len(b) - low - same
+    places: dict[str, int] = {}
+    for j in range(m):
+        places[b[low + j]] = places.get(b[low + j], 0) | 1 << j
+    every = (1 << m) - 1
+    rows = [every]
+    for i in range(n):
+        v = rows[-1]
+        u = v & places.get(a[low + i], 0)
+        rows.append((v + u | v - u) & every)
+    i, j = n, m
+    while i and j:
+        bit = 1 << j - 1
+        if rows[i] & bit:
+            j -= 1
+        elif not rows[i - 1] & bit:
+            i -= 1
         else:
-            tails[k], ends[k] = j, n
-    out, n = set(), ends[-1] if ends else -1
-    while n >= 0:
-        out.add(pairs[n][0])
-        n = back[n]
+            i, j = i - 1, j - 1
+            out.add(low + i)
     return out
 
 

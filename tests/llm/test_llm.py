@@ -223,6 +223,20 @@ def test_page_text(spark):
     assert pagetext.main_text(pagetext.page_lines(rows[1][2]), pagetext.page_lines(rows[2][2])) == "Text one"
 
 
+def test_common_lines_are_a_longest_common_subsequence():
+    assert len(pagetext.common_lines(list("xAxB"), list("AxB"))) == 3
+    r = random.Random(5)
+    for _ in range(500):
+        a, b = ([r.choice("abcd") for _ in range(r.randint(0, 12))] for _ in range(2))
+        most = [[0] * (len(b) + 1) for _ in range(len(a) + 1)]
+        for i, x in enumerate(a):
+            for j, y in enumerate(b):
+                most[i + 1][j + 1] = most[i][j] + 1 if x == y else max(most[i][j + 1], most[i + 1][j])
+        got = sorted(pagetext.common_lines(a, b))
+        rest = iter(b)
+        assert len(got) == most[-1][-1] and all(a[i] in rest for i in got)
+
+
 def test_line_dedup(spark, docs):
     seen, keys = defaultdict(set), lambda line: line.strip(" \t\n\x0b\x0c\r").translate({i: i + 32 for i in range(65, 91)})
     rows = docs.collect()
