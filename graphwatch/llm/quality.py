@@ -54,7 +54,7 @@ def _measures(docs: DataFrame, text: str) -> DataFrame:
         F.regexp_count("_text", F.lit(r"[#*$%&|<>]")).cast("long").alias("n_symbols"),
         F.size("_lines").cast("long").alias("n_lines"),
         (F.size("_lines") - F.size(F.array_distinct("_lines"))).cast("long").alias("n_dup_lines"),
-        F.size(F.array_intersect(F.transform(F.slice("_words", 1, 400), F.lower), F.array(*map(F.lit, STOP_WORDS)))).alias("_stop_head"),
+        F.size(F.array_intersect(F.transform("_words", F.lower), F.array(*map(F.lit, STOP_WORDS)))).cast("long").alias("stop_words"),
         shift.alias("_shift"),
         F.when(n >= 3, F.sort_array(F.transform(F.sequence(F.lit(0), n - 3), lambda i: F.call_function("shiftleft", window_at(i), shift).bitwiseOR(i.cast("long"))))).alias("_keys"),
     )
@@ -73,9 +73,6 @@ def _measures(docs: DataFrame, text: str) -> DataFrame:
     # A repeated window covers three words, less those that the next one covers too.
     covered = F.aggregate(F.transform("_places", lambda p, j: F.coalesce(F.least(F.get("_places", j + 1) - p, F.lit(3)), F.lit(3))), F.lit(0).cast("long"), lambda a, x: a + x)
     base = base.withColumn("n_repeat_words", F.coalesce(covered, F.lit(0)).cast("long"))
-    found = F.size(F.array_intersect(F.transform("_words", F.lower), F.array(*map(F.lit, STOP_WORDS))))
-    # The first words nearly always settle the stop-word rule; only otherwise is the rest looked at.
-    base = base.withColumn("stop_words", F.when(F.col("_stop_head") >= 2, F.col("_stop_head")).otherwise(found).cast("long"))
     per = lambda x, y: F.when(F.col(y) > 0, F.col(x) / F.col(y)).otherwise(F.lit(0.0))
     return base.select(
         "_doc",

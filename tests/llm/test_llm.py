@@ -310,3 +310,11 @@ def test_quality_rules(spark, docs):
     assert all(not r.kept for r in got if r.base_failed or r.doc_id in (400, 401))
     kept = quality.keep_good(rows)
     assert kept.columns == rows.columns and kept.count() == sum(r.kept for r in got)
+
+
+def test_stop_words_are_counted_in_the_whole_text(spark):
+    text = "the and " + "w " * 500 + "of to der"
+    docs = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    assert quality.judge(docs).first().stop_words == 5
+    assert quality.judge(docs, rules=(quality.Rule("stop_words", 5, None),)).first().broken == []
+    assert quality.judge(docs, rules=(quality.Rule("stop_words", None, 4),)).first().broken == ["stop_words>4"]
