@@ -1,5 +1,6 @@
 """The training-data operators against brute force, with nulls, empty tables, repeats and clashing columns."""
 
+import math
 import random
 import re
 import zlib
@@ -262,31 +263,109 @@ def test_line_runs_compact_and_find_new_lines(spark):
     assert [r["at"] for r in new.collect()] == [1]
 
 
-def test_lm_score(spark, docs):
-    import math
-
-    for head in (5, 100_000):
-        rows = lmscore.score(docs, head_words=head).collect()
-        assert len(rows) == docs.count()
+def test_lm_score(spark, docs, monkeypatch):
+    monkeypatch.setattr(lmscore, "SEGMENT_WORDS", 300)  # several segments
+    model = lmscore.fit(docs)
+    rows = lmscore.scored(model).collect()
+    assert len(rows) == docs.count() and lmscore.score(docs.limit(0)).count() == 0
     counts, ends = Counter(), 0
     for r in docs.collect():
         if not lmscore.is_held_out(r.doc_id):
             counts.update((r.text or "").encode().lower().split())
             ends += 1
     n, v = sum(counts.values()) + ends, len(counts) + 1
-    want = Counter()
+    per = defaultdict(lambda: [0, 0])
+    for w, c in counts.items():
+        per[lmscore.code_of(w) & 255][0] += c
+        per[lmscore.code_of(w) & 255][1] += 1
+    assert {k: tuple(x) for k, x in per.items()} | {0: (ends, 1)} == model.slots
+    u32 = lambda x: x & 0xFFFFFFFF
+
+    def mixed(x, salt):
+        x = u32((x ^ salt) * 0x9E3779B1)
+        x = u32((x ^ x >> 15) * 0x85EBCA77)
+        return x ^ x >> 13
+
+    def softmax(base, rows, k):
+        z = np.exp(base + sum(model.weights[r % len(model.weights)].astype(float) for r in rows))
+        return math.log10(z[k] / z.sum())
+
+    def brute(words):
+        total, one, two = 0.0, 0, 0
+        for w in [*words, None]:
+            code = 0 if w is None else lmscore.code_of(w)
+            y, s = code >> 4 & 15, code & 15
+            both = u32(mixed(one, 3) + mixed(two, 5))
+            total += softmax(model.base[0], [mixed(one, 1), mixed(two, 2), both ^ both >> 16], y)
+            if w is not None:
+                k = mixed(y, 13)
+                total += softmax(model.base[1][y], [u32(mixed(one, 7) + k), u32(mixed(two, 11) + k)], s)
+                total += math.log10((counts[w] + 1) / (sum(per[code & 255]) + 1))
+            one, two = code, one
+        return total
+
+    want = {}
     for r in docs.collect():
         w = (r.text or "").encode().lower().split()
         base = sum(math.log10((counts[x] + 1) / (n + v + 1)) for x in w) + math.log10((ends + 1) / (n + v + 1))
-        want[r.doc_id, len(w) + 1, sum(counts[x] > 0 for x in w) + 1, n, round(base, 4)] += 1
-    assert Counter((r.doc_id, r.n_tokens, r.n_known, r.train_tokens, round(r.base_score, 4)) for r in rows) == want
-    assert lmscore.score(docs.limit(0)).count() == 0
+        want[r.doc_id, len(w) + 1, sum(counts[x] > 0 for x in w) + 1, n] = base, brute(w)
+    for r in rows:
+        base, score = want[r.doc_id, r.n_tokens, r.n_known, r.train_tokens]
+        assert abs(r.base_score - base) < 1e-6 * r.n_tokens and abs(r.score - score) < 1e-4 * r.n_tokens
+        assert r.held_out == (zlib.crc32(b"" if r.doc_id is None else str(r.doc_id).encode()) % 7 == 2)
+
+
+def test_lm_learns_what_follows_what(spark):
+    """Words that follow one another in pairs and triples: held-out texts gain on a model without context, and more texts help."""
+    r = random.Random(3)
+    after = {f"w{i}": [f"w{r.randrange(300)}" for _ in range(3)] for i in range(300)}
+
+    def text():
+        out = ["w0"]
+        for _ in range(120):
+            out.append(r.choice(after[out[-1]]))
+        return " ".join(out)
+
+    def held_out(docs, **kw):
+        got = lmscore.score(docs, **kw).filter("held_out").agg(F.sum("score"), F.sum("n_tokens")).first()
+        return got[0] / got[1]
+
+    docs = spark.createDataFrame([(i, text()) for i in range(1200)], "doc_id long, text string")
+    plain, few, many = held_out(docs, rounds=0), held_out(docs.filter("doc_id < 150")), held_out(docs)
+    assert plain + 0.3 < many and few < many
 
 
 def test_lm_probabilities_add_up_to_one():
-    w = lmscore.zero_weights()
-    w = {k: v + np.random.default_rng(1).normal(size=v.shape) for k, v in w.items()}
-    assert np.allclose(np.exp(lmscore.cell_log_probs(w, np.arange(8))).sum(-1), 1)
+    r = np.random.default_rng(1)
+    weights, base = r.normal(size=(64, 16)).astype(np.float32), lmscore.base_logs({k: k for k in range(16, 256)})
+    assert np.allclose(np.exp(base[0]).sum(), 1) and np.allclose(np.exp(base[1]).sum(1), 1)
+    rows = [r.integers(0, 64, 9) for _ in range(3)]
+    z = lmscore.scores_of(weights, base[0], rows)
+    assert np.allclose(sum(10 ** lmscore.log10_probs(z, np.full(9, k)) for k in range(16)), 1)
+
+
+def test_lm_gradient_is_observed_less_expected():
+    seg = lmscore.Segment()
+    for i in range(5):
+        seg.add(i, prose(i, 50).encode().split())
+    codes, ids = np.array(seg.codes, np.uint32).tobytes(), np.concatenate(seg.parts)
+    lens, rows = np.array([len(p) for p in seg.parts]), 1 << 10
+    w, base = np.zeros((rows, 16), np.float32), lmscore.base_logs({k: 1 for k in range(16, 256)} | {0: 5})
+    at = lmscore.Contexts(codes, rows)
+
+    def likelihood(x):
+        one, two = lmscore.before(ids, lens)
+        (f, y), (g, s) = at.of(ids, one, two)
+        return (lmscore.log10_probs(lmscore.scores_of(x, base[0], f), y) + np.where(y > 0, lmscore.log10_probs(lmscore.scores_of(x, base[1][y], g), s), 0)).sum() * np.log(10)
+
+    observed, expected = np.zeros(rows * 16, np.float32), np.zeros((rows, 16), np.float32)
+    lmscore.gradient_counts(w, base, at, ids, lens, observed, expected, 1)
+    grad = observed.reshape(rows, 16) - expected
+    for r, k in zip(*np.unravel_index(np.argsort(-abs(grad), axis=None)[:10], grad.shape)):
+        up, down = w.copy(), w.copy()
+        up[r, k] += 0.01
+        down[r, k] -= 0.01
+        assert abs((likelihood(up) - likelihood(down)) / 0.02 - grad[r, k]) < 0.05 * max(1, abs(grad[r, k]))
 
 
 def test_quality_rules(spark, docs):
