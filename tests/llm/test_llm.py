@@ -238,7 +238,7 @@ def test_common_lines_are_a_longest_common_subsequence():
         assert len(got) == most[-1][-1] and all(a[i] in rest for i in got)
 
 
-def test_line_dedup(spark, docs):
+def test_line_dedup(spark, docs, monkeypatch):
     seen, keys = defaultdict(set), lambda line: line.strip(" \t\n\x0b\x0c\r").translate({i: i + 32 for i in range(65, 91)})
     rows = docs.collect()
     for r in rows:
@@ -250,17 +250,26 @@ def test_line_dedup(spark, docs):
         kept = [x for x in lines if not (len(keys(x)) >= 20 and len(seen[keys(x)] - {None}) >= 3 and r.doc_id != max(seen[keys(x)] - {None}))]
         want[r.doc_id, len(lines), len(lines) - len(kept), "\n".join(kept)] += 1
     for fanout in (2, 4):
-        got = linededup.drop_repeated(docs, fanout=fanout, batches=3).select("_doc.doc_id", "n_lines", "n_dropped", "kept_text")
+        runs = linededup.LineRuns(spark, fanout)
+        got = linededup.drop_repeated(docs, runs=runs, batches=6).select("_doc.doc_id", "n_lines", "n_dropped", "kept_text")
         assert Counter(tuple(r) for r in got.collect()) == want
+        assert runs.compactions >= 1
+    assert linededup.BATCHES > linededup.FANOUT
+    monkeypatch.setattr(linededup, "HOT_KEYS", 2)  # both ways of joining
+    got = linededup.drop_repeated(docs).select("_doc.doc_id", "n_lines", "n_dropped", "kept_text")
+    assert Counter(tuple(r) for r in got.collect()) == want
+    assert linededup.drop_repeated(docs.limit(0)).count() == 0
 
 
 def test_line_runs_compact_and_find_new_lines(spark):
-    runs = linededup.LineRuns(spark, fanout=2)
-    for b in range(4):
-        runs.add(spark.createDataFrame([(b, f"line number {b} is long enough")], "doc_id long, text string"))
-    assert [len(x) for x in runs.levels] == [0, 0, 1]
-    new = runs.new_lines(spark.createDataFrame([(9, "line number 2 is long enough\nline number 7 is long enough")], "doc_id long, text string"))
+    runs, lines = linededup.LineRuns(spark, fanout=2), lambda i, t: linededup.hashed_lines(spark.createDataFrame([(i, t)], "doc_id long, text string"))
+    for b in reversed(range(4)):
+        runs.add(lines(b, f"line number {b} is long enough\nthis line is in all of the batches"))
+    assert [len(x) for x in runs.levels] == [0, 0, 1] and runs.compactions == 3
+    new = runs.new_lines(lines(9, "line number 2 is long enough\nline number 7 is long enough"))
     assert [r["at"] for r in new.collect()] == [1]
+    # The batch that has a key first keeps it.
+    assert sorted((r.n_docs, r.last_doc) for r in runs.merged().collect()) == [(1, 0), (1, 1), (1, 2), (1, 3), (4, 3)]
 
 
 def test_lm_score(spark, docs, monkeypatch):
