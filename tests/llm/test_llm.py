@@ -224,6 +224,47 @@ def test_page_text(spark):
     assert pagetext.main_text(pagetext.page_lines(rows[1][2]), pagetext.page_lines(rows[2][2])) == "Text one"
 
 
+def test_page_text_against_brute_force(spark, monkeypatch):
+    """Pages without articles, pages with unmarked lines around one, hot hosts in many blocks: the neighbour does not depend on the dealing."""
+    r, rows = random.Random(8), []
+    for i in range(150):
+        host = "hot.org" if i % 3 else r.choice(["a.org", "b.org", "alone%d.org" % i])
+        own, common = [f"own {i} {k}" for k in range(r.randint(0, 3))], [f"site {host} {k}" for k in range(r.randint(0, 3))]
+        body = "".join(f"<div>{x}</div>" for x in r.sample(own + common, len(own + common)))
+        if i % 5 == 0:
+            body += f"<article><p>site {host} 0</p><p>art {i}</p></article><footer>site {host} 1</footer>"
+        rows.append((i, f"http://{host}/p/{r.randrange(1000)}?q", f"<body>{body}</body>"))
+    rows += [(None, rows[0][1], rows[0][2]), (150, None, "<p>x</p>"), (151, None, None), (152, "http://hot.org/zz", ""), (152, "http://hot.org/zz", ""), (153, "http://hot.org/long", "<p>" + "word " * 300_000 + "</p>")]
+    host = lambda u: (u or "").partition("://")[2].partition("/")[0]
+    path = lambda u: "/" + (u or "").partition("://")[2].partition("/")[2].partition("?")[0] if u else ""
+    at = sorted(rows, key=lambda x: (host(x[1]), path(x[1]), -1 if x[0] is None else x[0]))
+    want = Counter()
+    for i, x in enumerate(at):
+        near = [k for k in (i - 1, i + 1) if 0 <= k < len(at) and host(at[k][1]) == host(x[1])]
+        lines, other = pagetext.page_lines(x[2]), pagetext.page_lines(at[near[0]][2]) if near else None
+        table = [[0] * (len(other or []) + 1) for _ in range(len(lines) + 1)]
+        for m in reversed(range(len(lines))):
+            for n in reversed(range(len(other or []))):
+                table[m][n] = table[m + 1][n + 1] + 1 if lines[m].text == other[n].text else max(table[m + 1][n], table[m][n + 1])
+        texts = [y.text for y in lines if not y.aside and (y.main or other is not None and all(y.text != z.text for z in other) or other is None and not any(z.main for z in lines))]
+        want[x[0], x[1]] = Counter(texts), table[0][0]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("host", F.lit("clash")).withColumn("text", F.lit(1))
+    results = []
+    for parts, block in ((1, 64), (5, 4), (13, 7)):
+        got = [tuple(x) for x in pagetext.extract(df.repartition(parts), block_pages=block).collect()]
+        results.append(Counter(got))
+    assert results[0] == results[1] == results[2] and sum(results[0].values()) == len(rows)
+    for i, u, text in results[0]:
+        have, (must, _) = Counter(text.split("\n") if text else []), want[i, u]
+        assert not must - have  # lines of one page alone stay, and so do articles
+        assert len([x for x in have.elements() if x.startswith("site")]) <= 8
+    # Lines that an alignment reaches go: with distinct lines per page, exactly those.
+    a, b = "<div>one</div><div>two</div><div>three</div>", "<div>one</div><div>x</div><div>three</div>"
+    got = pagetext.extract(spark.createDataFrame([(1, "http://h/1", a), (2, "http://h/2", b)], "page_id long, url string, html string")).collect()
+    assert {x.page_id: x.text for x in got} == {1: "two", 2: "x"}
+    assert pagetext.extract(df.limit(0)).count() == 0
+
+
 def test_common_lines_are_a_longest_common_subsequence():
     assert len(pagetext.common_lines(list("xAxB"), list("AxB"))) == 3
     r = random.Random(5)
