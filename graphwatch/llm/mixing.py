@@ -1,12 +1,14 @@
 """Mixing sources to target weights.
 
 A source's words are cut into blocks of consecutive words of its documents, and its blocks are put
-in a permuted order. The mix takes the whole order as often as its target allows and then a first
-part of it, so blocks are drawn without replacement and no document is taken more than
-``max_copies`` times. A splitting tree then deals the draws to shards: a node halves its shards and
-splits its vector of per-source draws by a multivariate hypergeometric draw, down to single shards,
-which gives every shard exact quotas. Shard s takes the next quota of each source's draws; within a
-shard, draws are ordered by a hash. Everything is SQL functions; randomness is hashing, so reruns agree.
+in a permuted order. A source's quota is a number of draws: as many whole passes over its blocks as the
+target allows, and the first blocks of one more pass, so that the words come nearest to the target.
+A splitting tree divides the quotas among the shards: a node halves its shards and splits its vector of
+per-source draws by a multivariate hypergeometric draw, down to single shards, which gives every shard
+exact quotas. Draws are then made by the shards: shard s takes, of each source, the next blocks of the
+permuted order, as many as its quota says; a block that no quota reaches is not in the mix. So draws are
+disjoint, no document is taken more than ``max_copies`` times, and within a shard draws are ordered by a
+hash. Everything is SQL functions; randomness is hashing, so reruns agree.
 """
 
 from __future__ import annotations
@@ -156,24 +158,26 @@ def mix(docs: DataFrame, text: str = "text", source: str = "source", doc_id: str
     base = F.floor(F.col("target") / F.col("source_size")).cast("long")
     # The rest of the target is a first part of the order; its last block is taken if that comes nearer.
     extra = F.col("_words") + F.col("n_words") / 2 < F.col("target") - base * F.col("source_size")
-    placed = placed.withColumn("_copies", base + F.when(extra, 1).otherwise(0).cast("long"))
-    counts = cut(placed.groupBy("si").agg(F.sum("_copies").alias("draws"), F.count("*").alias("_blocks")))
-    until = shard_quotas(counts.select("si", "draws"), shards, seed).groupBy("si").agg(F.array_sort(F.collect_list("until")).alias("_until"))
-    per_source = cut(counts.join(until, "si").select(F.col("si").alias("_si"), "_blocks", "_until"))
-    drawn = placed.filter("_copies > 0").join(per_source, F.col("si") == F.col("_si"))
-    drawn = drawn.withColumn("copy", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_copies") - 1)))
-    at = F.col("copy") * F.col("_blocks") + F.col("_rank")
-    drawn = drawn.withColumn("_at", at).withColumn("shard", F.size(F.filter("_until", lambda x: x <= F.col("_at"))))
+    quotas = cut(placed.groupBy("si").agg(F.sum(base + F.when(extra, 1).otherwise(0)).cast("long").alias("draws"), F.count("*").alias("_blocks")))
+    until = shard_quotas(quotas.select("si", "draws"), shards, seed).groupBy("si").agg(F.array_sort(F.collect_list("until")).alias("_until"))
+    per_source = cut(quotas.join(until, "si").select(F.col("si").alias("_si"), "_blocks", "_until"))
+    # Draw number k of a source is block k of its order, counted on over further passes; the shards' quotas say which numbers are drawn, and by whom.
+    made = placed.join(per_source, F.col("si") == F.col("_si"))
+    passes = F.array_max("_until") - F.col("_rank")
+    made = made.withColumn("_at", F.explode(F.when(passes > 0, F.sequence(F.col("_rank"), F.array_max("_until") - 1, F.col("_blocks")))))
+    drawn = made.withColumn("shard", F.size(F.filter("_until", lambda x: x <= F.col("_at")))).withColumn("copy", F.floor(F.col("_at") / F.col("_blocks")).cast("long"))
     slot = F.xxhash64(F.lit(seed + 1), "shard", "si", "_at")
     return rows, drawn.select("shard", slot.alias("slot"), "si", "doc_id", "source", "size", "row", "block", "first_word", "n_words", "copy")
 
 
 def taken_words(rows: DataFrame, draws: DataFrame) -> DataFrame:
-    """rows with ``taken``, the words that the draws take of each."""
+    """rows with ``taken``, the words that the draws take of each, ``n_draws`` and ``n_shards``, from how many draws and by how many shards."""
     key = ["doc_id", "source", "size", "row"]
-    sums = draws.groupBy(*key).agg(F.sum("n_words").alias("taken")).withColumnsRenamed({k: f"_{k}" for k in key})
+    sums = draws.groupBy(*key, "shard").agg(F.sum("n_words").alias("w"), F.count("*").alias("n"))
+    sums = sums.groupBy(*key).agg(F.sum("w").alias("taken"), F.sum("n").alias("n_draws"), F.count("*").alias("n_shards")).withColumnsRenamed({k: f"_{k}" for k in key})
     on = [rows[k].eqNullSafe(sums[f"_{k}"]) for k in key]
-    return rows.join(sums, on, "left").withColumn("taken", F.coalesce("taken", F.lit(0).cast("long"))).drop(*[f"_{k}" for k in key])
+    counts = {c: F.coalesce(c, F.lit(0).cast("long")) for c in ("taken", "n_draws", "n_shards")}
+    return rows.join(sums, on, "left").withColumns(counts).drop(*[f"_{k}" for k in key])
 
 
 def mixed_documents(docs: DataFrame, text: str = "text", source: str = "source", doc_id: str = "doc_id", **settings) -> DataFrame:
@@ -196,4 +200,4 @@ def mixed_documents(docs: DataFrame, text: str = "text", source: str = "source",
 
 def op6_query(spark, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "source")
-    return taken_words(*mix(docs)).select("doc_id", "size", "source_size", "target", "taken")
+    return taken_words(*mix(docs)).select("doc_id", "size", "source_size", "target", "taken", "n_draws", "n_shards")

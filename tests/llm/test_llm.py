@@ -192,6 +192,57 @@ def test_mixing(spark, docs):
     assert len(shards) == 8 and max(shards) - min(shards) <= 1
     assert draws.select("doc_id", "source", "size", "row", "block", "copy").distinct().count() == draws.count()
     assert mixing.mixed_documents(docs).columns == docs.columns
+    by_doc = Counter((d.doc_id, d.source, d.size, d.row) for d in draws.collect())
+    assert all(r.n_draws == by_doc[r.doc_id, r.source, r.size, r.row] and r.n_shards <= min(8, r.n_draws) for r in got)
+    empty = mixing.mix(docs.limit(0))
+    assert mixing.taken_words(*empty).count() == 0 and mixing.mixed_documents(docs.limit(0)).count() == 0
+
+
+def test_draws_are_the_shards_quotas(spark, docs, monkeypatch):
+    """Draws against a plain version: the permuted order of each source, cut where the words come nearest to the target."""
+    rows, draws = mixing.mix(docs, block_words=16)
+    got, all_rows = draws.collect(), {(r.doc_id, r.source, r.size, r.row): r for r in rows.collect()}
+    blocks, hashed = defaultdict(list), spark.createDataFrame([(*k, b, 0) for k in all_rows for b in range(-(-k[2] // 16))], "doc_id long, source string, size long, row long, block long, z int")
+    for x in hashed.withColumn("key", F.xxhash64(F.lit(mixing.SEED), "doc_id", "source", "size", "row", "block")).collect():
+        blocks[x.source].append((x.key, x.doc_id, x.size, x.row, x.block, min(16, x.size - 16 * x.block)))
+    for source, order in blocks.items():
+        order.sort(key=lambda x: (x[0], x[1] is not None, x[1] or 0, *x[2:5]))
+        target = next(r.target for k, r in all_rows.items() if k[1] == source)
+        whole, words = divmod(target, sum(x[5] for x in order))
+        want, sofar = Counter(), 0
+        for x in order:
+            want[x[1:5]] = int(whole) + (sofar + x[5] / 2 < words)
+            sofar += x[5]
+        drawn = Counter((d.doc_id, d.size, d.row, d.block) for d in got if d.source == source)
+        assert drawn == +want
+        # Shard by shard, the next draws of the order.
+        place = {x[1:5]: i for i, x in enumerate(order)}
+        numbers = sorted((d.copy * len(order) + place[d.doc_id, d.size, d.row, d.block], d["shard"]) for d in got if d.source == source)
+        assert [n for n, _ in numbers] == list(range(len(numbers))) and [s for _, s in numbers] == sorted(s for _, s in numbers)
+    assert sorted(map(tuple, mixing.mix(docs.repartition(7), block_words=16)[1].collect()), key=str) == sorted(map(tuple, got), key=str)
+    # Without quotas nothing is drawn: the quotas decide, not the running sums.
+    none = lambda d, shards, seed: d.select("si", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"), F.lit(0).cast("long").alias("until"))
+    monkeypatch.setattr(mixing, "shard_quotas", none)
+    assert mixing.mix(docs, block_words=16)[1].count() == 0
+
+
+def test_hypergeometric_is_the_inverse_distribution(spark):
+    """Against exact binomials: the values in the order in which the draw visits them, from the mode outwards."""
+    r = random.Random(2)
+    cases = [(r.randint(0, 40), r.randint(0, 40), r.randint(0, 40), r.random()) for _ in range(300)]
+    cases = [(w, b, min(k, w + b), u) for w, b, k, u in cases]
+    df = spark.createDataFrame(cases, "w long, b long, k long, u double")
+    for (w, b, k, u), x in zip(cases, df.select(mixing.hypergeometric(F.col("w"), F.col("b"), F.col("k"), F.col("u"))).collect()):
+        low, high = max(0, k - b), min(k, w)
+        p = {i: math.comb(w, i) * math.comb(b, k - i) / math.comb(w + b, k) for i in range(low, high + 1)}
+        mode = max(low, min(high, (k + 1) * (w + 1) // (w + b + 2)))
+        order = [mode] + [x for d in range(1, 50) for x in (mode + d, mode - d) if low <= x <= high]
+        sofar, edges = 0.0, []
+        for i in order:
+            sofar += p[i]
+            edges.append((sofar, i))
+        near = any(abs(u - e) < 1e-9 for e, _ in edges)
+        assert near or x[0] == next((i for e, i in edges if u < e), mode)
 
 
 def test_repeated_rows_are_mixed_as_often_as_drawn(spark, monkeypatch):
