@@ -8,7 +8,8 @@
 * Classes that share a band are candidates. First every class is compared with the smallest one of
   its buckets: that joins large groups without making their pairs. Then, in buckets that still hold
   more than one component, all pairs across components are compared inside the join, which keeps
-  only those that both bitmaps let through. No bucket or number of partners is capped.
+  only those that both bitmaps let through. Large buckets are dealt to several tasks; no bucket or
+  number of partners is capped.
 * Both kinds of pairs are confirmed on full sets, and components of the confirmed links follow.
 """
 
@@ -23,6 +24,7 @@ from pyspark.sql import functions as F
 
 from graphwatch.functions.storage import table
 from graphwatch.llm.components import connected_components
+from graphwatch.llm.workers import trimmed
 
 #: A similarity of 0.85 shares one of 26 bands of 6 samples but for 5 in a million.
 BANDS, BAND_ROWS, SEED = 26, 6, 11
@@ -31,7 +33,9 @@ SKETCH_LONGS, PARITY_LONGS = 8, 16
 #: The estimate has a standard deviation of 0.03 there; five of them below the threshold are let through.
 SLACK = 0.15
 #: Words whose hash a worker keeps; then it starts anew. Only speed depends on it.
-CACHE_WORDS = 500_000
+CACHE_WORDS = 150_000
+#: Members of a bucket that one task compares with others; a larger bucket is split.
+BUCKET_ROWS = 2000
 _SCHEMA = "doc_id long, n_shingles long, k1 long, k2 long, bands array<long>, odd array<long>, parity array<long>"
 _M1, _M2, _M3 = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xFF51AFD7ED558CCD))
 
@@ -67,14 +71,14 @@ def shingle_set(hashes: WordHash, text: str | None, width: int) -> np.ndarray:
 
 
 def _chunks(batches: Iterator[pa.RecordBatch], width: int) -> Iterator[tuple[list, list[np.ndarray]]]:
-    """doc_ids and shingle sets, about a million shingles at a time."""
+    """doc_ids and shingle sets, about half a million shingles at a time."""
     hashes, ids, sets, size = WordHash(), [], [], 0
     for batch in batches:
         for name, body in zip(batch.column(0), batch.column(1), strict=True):
             got = shingle_set(hashes, body.as_py(), width)
             ids.append(name.as_py()), sets.append(got)
             size += len(got)
-            if size > 1_000_000:
+            if size > 500_000:
                 yield ids, sets
                 ids, sets, size = [], [], 0
     if ids:
@@ -124,7 +128,7 @@ def signatures(docs: DataFrame, width: int = 3, bands: int = BANDS, band_rows: i
                 ["doc_id", "n_shingles", "k1", "k2", "bands", "odd", "parity"],
             )
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(sign, _SCHEMA)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(trimmed(sign), _SCHEMA)
 
 
 def _parity(values: np.ndarray, longs: int) -> np.ndarray:
@@ -173,18 +177,30 @@ def _sided(df: DataFrame, side: str) -> DataFrame:
     return df.select(*[F.col(c).alias(f"{side}_{c}") for c in df.columns])
 
 
-def confirmed(docs: DataFrame, pairs: DataFrame, percent: int, width: int) -> DataFrame:
-    """The pairs (a, b) of doc_ids with 100 * intersection >= percent * union of their full sets."""
+def _keys(s: np.ndarray) -> tuple[int, int]:
+    """The 128-bit key of a set."""
+    if not len(s):
+        return 0, 0
+    return tuple(int(x.astype(np.int64)) for x in (np.add.reduce(_mix(s)), np.bitwise_xor.reduce(_mix(s * _M2))))
+
+
+def confirmed(docs: DataFrame, classes: DataFrame, pairs: DataFrame, percent: int, width: int) -> DataFrame:
+    """The pairs (a, b) of ids of classes (k1, k2, id) with 100 * intersection >= percent * union of their full sets."""
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for ids, found in _chunks(batches, width):
             offsets = np.concatenate([[0], np.cumsum([len(s) for s in found])]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(found).view(np.int64)))], ["id", "set"])
+            keys = [_keys(s) for s in found]
+            arrays = [pa.array(ids, pa.int64()), pa.array([k[0] for k in keys], pa.int64()), pa.array([k[1] for k in keys], pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(found).view(np.int64)))]
+            yield pa.RecordBatch.from_arrays(arrays, ["id", "k1", "k2", "set"])
 
     ids = pairs.select(F.explode(F.array("a", "b")).alias("_id")).distinct()
+    wanted = classes.join(ids, classes["id"] == ids["_id"]).select("_id", F.col("k1").alias("_k1"), F.col("k2").alias("_k2"))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    full = table(rows.join(ids, rows["doc_id"] == ids["_id"], "left_semi").mapInArrow(sets, "id long, set array<long>"), "dup-sets").dropDuplicates(["id"])
-    full = table(full, "dup-full")
+    full = table(rows.join(ids, rows["doc_id"] == ids["_id"], "left_semi").mapInArrow(trimmed(sets), "id long, k1 long, k2 long, set array<long>"), "dup-sets")
+    # Of rows that share an id, those with the set that stands for it.
+    full = full.join(wanted, (F.col("id") == F.col("_id")) & (F.col("k1") == F.col("_k1")) & (F.col("k2") == F.col("_k2")), "left_semi").dropDuplicates(["id"])
+    full = table(full.select("id", "set"), "dup-full")
     one, two = full.select(F.col("id").alias("a"), F.col("set").alias("s")), full.select(F.col("id").alias("b"), F.col("set").alias("t"))
     both = F.size(F.array_intersect("s", "t")).cast("long")
     either = F.size("s").cast("long") + F.size("t") - both
@@ -195,15 +211,18 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
     """doc_id, n_shingles, component_id, kept for each row of docs.
 
     A document without words is linked with nothing. A row with a null doc_id cannot be named: its
-    component_id is null and it is kept. Rows that share a doc_id are one document with the text
-    of the least hash; they share their component, and all of them are kept or none.
+    component_id is null and it is kept. Rows that share a doc_id are one document, with the
+    set of the least key among theirs: they get the same result, and all of them are kept or none.
     """
     rows = docs.select(docs[doc_id].cast("long").alias("doc_id"), docs[text].cast("string").alias("text"))
     signed = table(signatures(rows, width, bands, band_rows), "dup-signatures")
     samples, low = bands * band_rows, percent / 100
-    named = signed.filter("n_shingles > 0 and doc_id is not null")
-    classes = table(named.groupBy("k1", "k2").agg(F.min("doc_id").alias("id")), "dup-classes")
-    firsts = named.join(classes.select("id"), F.col("doc_id") == F.col("id"), "left_semi").select(F.col("doc_id").alias("id"), F.col("n_shingles").alias("n"), "bands", "odd", "parity").dropDuplicates(["id"])
+    one_each = signed.filter("doc_id is not null").groupBy("doc_id").agg(F.min(F.struct("k1", "k2", "n_shingles")).alias("s"), F.count("*").alias("rows"))
+    one_each = table(one_each.select("doc_id", "s.*", "rows"), "dup-documents")
+    classes = table(one_each.filter("n_shingles > 0").groupBy("k1", "k2").agg(F.min("doc_id").alias("id")), "dup-classes")
+    own = classes.select("id", F.col("k1").alias("_k1"), F.col("k2").alias("_k2"))
+    firsts = signed.join(own, (F.col("doc_id") == F.col("id")) & (F.col("k1") == F.col("_k1")) & (F.col("k2") == F.col("_k2")), "left_semi")
+    firsts = firsts.select(F.col("doc_id").alias("id"), F.col("n_shingles").alias("n"), "bands", "odd", "parity").dropDuplicates(["id"])
     firsts = table(firsts, "dup-firsts")
     sketch = firsts.select("id", "n", "odd", "parity")
     buckets = firsts.select("id", F.posexplode("bands").alias("band", "h")).select("id", F.xxhash64("band", "h").alias("bucket"))
@@ -212,25 +231,27 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
     stars = full.filter("id <> head").select(F.col("head").alias("a"), F.col("id").alias("b")).distinct()
     stars = stars.join(_sided(sketch, "a"), F.col("a") == F.col("a_id")).join(_sided(sketch, "b"), F.col("b") == F.col("b_id"))
     stars = table(stars.filter(_close(low, samples)).select("a", "b"), "dup-stars")
-    links = table(confirmed(rows, stars, percent, width), "dup-links")
+    links = table(confirmed(rows, classes, stars, percent, width), "dup-links")
     parts = table(connected_components(links), "dup-parts")
     # Buckets that hold more than one component yet: their members, with what the comparison needs.
     placed = table(full.join(parts.withColumnRenamed("id", "_i"), F.col("id") == F.col("_i"), "left").select("bucket", "id", F.coalesce("component", "id").alias("part")), "dup-placed")
-    mixed = table(placed.groupBy("bucket").agg(F.min("part").alias("x"), F.max("part").alias("y")).filter("x <> y").select("bucket"), "dup-mixed")
-    open_ = placed.join(mixed, "bucket", "left_semi").join(sketch.withColumnRenamed("id", "_i"), F.col("id") == F.col("_i")).drop("_i")
+    mixed = table(placed.groupBy("bucket").agg(F.min("part").alias("x"), F.max("part").alias("y"), F.count("*").alias("n")).filter("x <> y").select("bucket", F.ceil(F.col("n") / BUCKET_ROWS).cast("int").alias("salts")), "dup-mixed")
+    open_ = placed.join(mixed, "bucket").join(sketch.withColumnRenamed("id", "_i"), F.col("id") == F.col("_i")).drop("_i")
     open_ = table(open_, "dup-open")
-    one, two = _sided(open_, "a"), _sided(open_, "b")
-    across = one.join(two, (F.col("a_bucket") == F.col("b_bucket")) & (F.col("a_id") < F.col("b_id")) & (F.col("a_part") != F.col("b_part")) & _close(low, samples))
+    # A large bucket is dealt to several tasks: one side by a hash, the other side to all of them.
+    one = _sided(open_.withColumn("salt", F.explode(F.sequence(F.lit(0), F.col("salts") - 1))), "a")
+    two = _sided(open_.withColumn("salt", F.pmod(F.xxhash64("id"), F.col("salts")).cast("int")), "b")
+    across = one.join(two, (F.col("a_bucket") == F.col("b_bucket")) & (F.col("a_salt") == F.col("b_salt")) & (F.col("a_id") < F.col("b_id")) & (F.col("a_part") != F.col("b_part")) & _close(low, samples))
     across = table(across.select(F.col("a_id").alias("a"), F.col("b_id").alias("b")).distinct(), "dup-across")
-    late = confirmed(rows, across, percent, width)
+    late = confirmed(rows, classes, across, percent, width)
     parts = table(connected_components(links.unionByName(late)), "dup-components")
     # From class representatives to all members, by the key of their set.
-    named_parts = table(classes.join(parts.withColumnRenamed("id", "_i"), F.col("id") == F.col("_i"), "left").select("k1", "k2", F.coalesce("component", "id").alias("c")), "dup-members")
-    out = signed.select("doc_id", "n_shingles", F.when(F.col("n_shingles") > 0, F.col("k1")).alias("_k1"), F.col("k2").alias("_k2"))
-    out = out.join(named_parts, (F.col("_k1") == F.col("k1")) & (F.col("_k2") == F.col("k2")), "left")
-    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("c", "doc_id"))
-    out = out.select("doc_id", "n_shingles", component.alias("component_id"))
-    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+    named_parts = classes.join(parts.withColumnRenamed("id", "_i"), F.col("id") == F.col("_i"), "left").select(F.col("k1").alias("_k1"), F.col("k2").alias("_k2"), F.coalesce("component", "id").alias("c"))
+    out = one_each.withColumn("_k", F.when(F.col("n_shingles") > 0, F.col("k1"))).join(table(named_parts, "dup-members"), (F.col("_k") == F.col("_k1")) & (F.col("k2") == F.col("_k2")), "left")
+    out = out.select("doc_id", "n_shingles", F.coalesce("c", "doc_id").alias("component_id"), F.explode(F.sequence(F.lit(1).cast("long"), F.col("rows"))).alias("_r"))
+    out = out.select("doc_id", "n_shingles", "component_id", (F.col("doc_id") == F.col("component_id")).alias("kept"))
+    unnamed = signed.filter("doc_id is null").select("doc_id", "n_shingles", F.lit(None).cast("long").alias("component_id"), F.lit(True).alias("kept"))
+    return out.unionByName(unnamed)
 
 
 def drop_near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", **settings) -> DataFrame:

@@ -67,6 +67,28 @@ def test_near_duplicates(spark, docs):
     assert neardup.near_duplicates(docs.limit(0)).count() == 0
 
 
+def test_near_duplicates_of_rows_that_share_a_doc_id(spark, monkeypatch):
+    """Rows with one doc_id and different texts are one document with one of the sets, whatever the dealing."""
+    a, b = prose(1, 60), prose(2, 60)
+    rows = [(1, a), (1, b), (2, a), (3, b), (4, prose(3, 9)), (4, None), (5, "x y z")]
+    monkeypatch.setattr(neardup, "BUCKET_ROWS", 1)
+    seen = set()
+    for order in (rows, rows[::-1], rows[3:] + rows[:3]):
+        got = neardup.near_duplicates(spark.createDataFrame(order, "doc_id long, text string").repartition(3)).collect()
+        assert Counter(r.doc_id for r in got) == Counter(r[0] for r in rows)
+        by = {r.doc_id: tuple(r) for r in got}
+        assert all(tuple(r) == by[r.doc_id] for r in got)
+        assert [by[2][2], by[3][2]] in ([1, 3], [2, 1]) and by[1][2] == 1 and by[5][3]
+        seen.add(tuple(sorted(by.items())))
+    assert len(seen) == 1
+
+
+def test_large_buckets_are_split(spark, docs, monkeypatch):
+    want = sorted(map(tuple, neardup.near_duplicates(docs).collect()), key=str)
+    monkeypatch.setattr(neardup, "BUCKET_ROWS", 1)
+    assert sorted(map(tuple, neardup.near_duplicates(docs).collect()), key=str) == want
+
+
 def test_odd_sketch_estimates_high_similarity(spark):
     r = random.Random(4)
     base = [str(r.random()) for _ in range(400)]
