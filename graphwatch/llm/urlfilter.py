@@ -88,7 +88,9 @@ def gram_ratios(urls: DataFrame) -> DataFrame:
 
 def url_scores(urls: DataFrame) -> DataFrame:
     """s -> score for each distinct s of urls (s, accepted, rejected as long)."""
-    once = urls.groupBy("s").agg(F.sum("accepted").alias("accepted"), F.sum("rejected").alias("rejected"))
+    # A fixed number of partitions: Spark would merge these few MB into one task, which would make all the grams.
+    n = int(urls.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    once = urls.repartition(n, "s").groupBy("s").agg(F.sum("accepted").alias("accepted"), F.sum("rejected").alias("rejected"))
     ratios = table(gram_ratios(once), "url-ratios")
     each = _grams(once.select("s"), "s").groupBy("s", "gram").count()
     return each.join(ratios, "gram").groupBy("s").agg((F.sum(F.col("ratio") * F.col("count")) / F.sum("count")).alias("score"))
