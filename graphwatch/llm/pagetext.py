@@ -27,6 +27,7 @@ from pyspark.sql import functions as F
 from graphwatch.functions.ranking import range_rank
 from graphwatch.functions.storage import table
 from graphwatch.llm.urlfilter import host_of, path_of
+from graphwatch.llm.workers import trimmed
 
 #: Pages of a block at least, and blocks that are cut off in all at most (their first URLs are broadcast).
 BLOCK_PAGES, MOST_CUTS = 64, 1 << 15
@@ -251,7 +252,7 @@ def extract(pages: DataFrame, html: str = "html", url: str = "url", page_id: str
     rows = rows.withColumn("place", F.explode(F.coalesce(places, F.array(F.struct(F.col("block"), F.lit(False).alias("serves"))))))
     rows = rows.select("host", "place.block", "place.serves", "page_id", "url", "html", "key")
     dealt = rows.repartition("host", "block").sortWithinPartitions("host", "block", "key")
-    return dealt.select("host", "block", "serves", "page_id", "url", "html").mapInArrow(run, "page_id long, url string, text string")
+    return dealt.select("host", "block", "serves", "page_id", "url", "html").mapInArrow(trimmed(run), "page_id long, url string, text string")
 
 
 def op7_query(spark, sf_dir: str) -> DataFrame:
