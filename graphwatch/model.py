@@ -6,13 +6,16 @@ import json
 from dataclasses import dataclass, field
 
 EDGE_COLUMNS = ["eid", "src", "dst", "etype", "ts"]
+#: The kind of a query edge that any edge fits; its predicate may tell more, such as etype rlike '^k[45]$'.
+ANY = "*"
 
 
 @dataclass(frozen=True)
 class QueryVertex:
     name: str
-    vtype: str | None = None
+    vtype: str | None = None  # looked up in a table of vertices, as label is
     predicate: str | None = None  # SQL over vid
+    label: str | None = None  # regular expression
 
 
 @dataclass(frozen=True)
@@ -40,6 +43,9 @@ class QueryGraph:
     def predicate(self, vertex: str) -> str | None:
         return next((v.predicate for v in self.vertices if v.name == vertex), None)
 
+    def vertex(self, name: str) -> QueryVertex | None:
+        return next((v for v in self.vertices if v.name == name), None)
+
     def connected(self) -> bool:
         seen, todo = set(), {self.edges[0].src} if self.edges else set()
         while todo:
@@ -102,7 +108,7 @@ def tree_json(tree: JoinTree, graph: QueryGraph) -> str:
     return json.dumps({
         "leaves": [[[e.name, e.src, e.dst, e.etype, e.predicate] for e in leaf.edges] for leaf in tree.leaves],
         "fallback": tree.fallback,
-        "vertices": [[v.name, v.vtype, v.predicate] for v in graph.vertices],
+        "vertices": [[v.name, v.vtype, v.predicate, v.label] for v in graph.vertices],
     })
 
 

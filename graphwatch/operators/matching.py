@@ -9,26 +9,44 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from graphwatch.functions.storage import cut
-from graphwatch.model import JoinTree, Leaf, QueryEdge, QueryGraph
+from graphwatch.model import ANY, JoinTree, Leaf, QueryEdge, QueryGraph
 
 
-def edge_matches(edges: DataFrame, edge: QueryEdge, graph: QueryGraph | None = None, semantics: str = "isomorphism") -> DataFrame:
-    """Bindings of one query edge: filters only, so that kind and predicates reach the scan."""
-    rows = edges.filter(F.col("etype") == edge.etype)
+def at_vertex(rows: DataFrame, predicate: str, column: str) -> DataFrame:
+    """The rows whose vertex in ``column`` fits a predicate over vid. The name is bound, so text and other names that contain it stay as they are."""
+    return rows.withColumn("vid", F.col(column)).filter(F.expr(predicate)).drop("vid")
+
+
+def edge_matches(edges: DataFrame, edge: QueryEdge, graph: QueryGraph | None = None, semantics: str = "isomorphism", times: bool = False, vertices: DataFrame | None = None) -> DataFrame:
+    """Bindings of one query edge: filters only, so that kind and predicates reach the scan.
+
+    times: carry the edge's time as t_lo and t_hi. vertices (vid, vtype, label): where the types and
+    labels that the pattern asks of its vertices are looked up.
+    """
+    rows = edges if edge.etype == ANY else edges.filter(F.col("etype") == edge.etype)
     if edge.predicate:
         rows = rows.filter(F.expr(edge.predicate))
     for v, c in ((edge.src, "src"), (edge.dst, "dst")):
         if graph and (p := graph.predicate(v)):
-            rows = rows.filter(F.expr(p.replace("vid", c)))
+            rows = at_vertex(rows, p, c)
+        known = graph.vertex(v) if graph else None
+        if known and (known.vtype or known.label):
+            if vertices is None:
+                raise ValueError(f"vertex {v} has a type or a label; give a table of vertices")
+            fit = vertices.filter(F.col("vtype") == known.vtype) if known.vtype else vertices
+            fit = fit.filter(F.col("label").rlike(known.label)) if known.label else fit
+            fit = fit.select(F.col("vid").alias("_vid"))
+            rows = rows.join(fit, rows[c] == fit["_vid"], "left_semi")
+    when = [F.col("ts").alias("t_lo"), F.col("ts").alias("t_hi")] if times else []
     if edge.src == edge.dst:
-        return rows.filter("src = dst").select(F.col("src").alias(f"v_{edge.src}"), F.col("eid").alias(f"e_{edge.name}"))
+        return rows.filter("src = dst").select(F.col("src").alias(f"v_{edge.src}"), F.col("eid").alias(f"e_{edge.name}"), *when)
     if semantics == "isomorphism":
         rows = rows.filter("src <> dst")
-    return rows.select(F.col("src").alias(f"v_{edge.src}"), F.col("dst").alias(f"v_{edge.dst}"), F.col("eid").alias(f"e_{edge.name}"))
+    return rows.select(F.col("src").alias(f"v_{edge.src}"), F.col("dst").alias(f"v_{edge.dst}"), F.col("eid").alias(f"e_{edge.name}"), *when)
 
 
 def _apart(left: DataFrame, right: DataFrame, kinds: dict[str, str], semantics: str) -> list[Column]:
-    """Vertices that meet first in this join differ; so do edges of one kind."""
+    """Vertices that meet first in this join differ; so do edges that can be of one kind."""
     lv, rv = ([c for c in df.columns if c.startswith("v_")] for df in (left, right))
     shared = set(lv) & set(rv)
     out = []
@@ -36,40 +54,52 @@ def _apart(left: DataFrame, right: DataFrame, kinds: dict[str, str], semantics:
         out += [left[a] != right[b] for a in lv for b in rv if a not in shared and b not in shared]
         # A shared vertex was already told apart from the others of its own side.
     le, re_ = ([c for c in df.columns if c.startswith("e_")] for df in (left, right))
-    out += [left[a] != right[b] for a, b in itertools.product(le, re_) if kinds[a] == kinds[b]]
+    out += [left[a] != right[b] for a, b in itertools.product(le, re_) if kinds[a] == kinds[b] or ANY in (kinds[a], kinds[b])]
     return out
 
 
-def join_bindings(left: DataFrame, right: DataFrame, kinds: dict[str, str], semantics: str = "isomorphism", hint: str | None = None) -> DataFrame:
-    """left and right joined on the vertices that they share. kinds: e_* column -> kind."""
+def join_bindings(left: DataFrame, right: DataFrame, kinds: dict[str, str], semantics: str = "isomorphism", hint: str | None = None, within: str | None = None) -> DataFrame:
+    """left and right joined on the vertices that they share. kinds: e_* column -> kind. within: an interval that all edges lie in, if both sides carry times."""
     shared = [c for c in left.columns if c in right.columns and c.startswith("v_")]
     if hint:
         right = right.hint(hint)
     on = [left[c] == right[c] for c in shared] + _apart(left, right, kinds, semantics)
+    timed = "t_lo" in left.columns and "t_lo" in right.columns
+    times = []
+    if timed:
+        low, high = F.least(left["t_lo"], right["t_lo"]), F.greatest(left["t_hi"], right["t_hi"])
+        times = [low.alias("t_lo"), high.alias("t_hi")]
+        if within:
+            on.append(high <= low + F.expr(f"INTERVAL {within}"))
     joined = left.join(right, reduce(lambda a, b: a & b, on)) if on else left.crossJoin(right)
-    return joined.select(*[left[c] for c in left.columns], *[right[c] for c in right.columns if c not in shared])
+    names = [[c for c in df.columns if not c.startswith("t_")] for df in (left, right)]
+    return joined.select(*[left[c] for c in names[0]], *[right[c] for c in names[1] if c not in shared], *times)
 
 
 def edge_kinds(tree: JoinTree) -> dict[str, str]:
     return {f"e_{e.name}": e.etype for e in tree.edges}
 
 
-def leaf_matches(edges: DataFrame, leaf: Leaf, graph: QueryGraph | None = None, semantics: str = "isomorphism", gates: dict[str, DataFrame] | None = None) -> DataFrame:
-    """Bindings of a piece. gates: vertex -> table with one column vid; an edge at a gated vertex is looked up there before it is paired."""
+def leaf_matches(edges: DataFrame, leaf: Leaf, graph: QueryGraph | None = None, semantics: str = "isomorphism", gates: dict[str, DataFrame] | None = None, times: bool = False, vertices: DataFrame | None = None, within: str | None = None) -> DataFrame:
+    """Bindings of a piece. gates: vertex -> table with a column vid, and perhaps since_eid; an edge at a gated vertex is looked up there before it is paired."""
     kinds = {f"e_{e.name}": e.etype for e in leaf.edges}
     out = None
     for e in leaf.edges:
-        own = edge_matches(edges, e, graph, semantics)
+        own = edge_matches(edges, e, graph, semantics, times, vertices)
         for v, gate in (gates or {}).items():
             if v in e.ends:
-                own = own.join(gate, own[f"v_{v}"] == gate["vid"], "left_semi")
-        out = own if out is None else join_bindings(out, own, kinds, semantics)
+                open_ = own[f"v_{v}"] == gate["vid"]
+                if "since_eid" in gate.columns:
+                    open_ = open_ & (own[f"e_{e.name}"] > gate["since_eid"])
+                own = own.join(gate, open_, "left_semi")
+        out = own if out is None else join_bindings(out, own, kinds, semantics, within=within)
     return out
 
 
 def pair_matches(edges: DataFrame, kind1: str, kind2: str, form: str) -> DataFrame:
-    """Two edges at a centre c. form: in-in, out-out, in-out (a to c to b)."""
-    ends = {"in-in": (("a", "c"), ("b", "c")), "out-out": (("c", "a"), ("c", "b")), "in-out": (("a", "c"), ("c", "b"))}[form]
+    """Two edges at a centre c. form: in-in, out-out, in-out (a to c to b) or out-in (b to c to a)."""
+    into = {"a": ("a", "c"), "b": ("b", "c")}
+    ends = [into[v] if way == "in" else into[v][::-1] for v, way in zip("ab", form.split("-"), strict=True)]
     return leaf_matches(edges, Leaf((QueryEdge("e0", *ends[0], kind1), QueryEdge("e1", *ends[1], kind2))))
 
 
@@ -123,50 +153,60 @@ def back_search(history: DataFrame, gates: DataFrame, leaf_edge: QueryEdge, leaf
     return rows.join(open_, "vid").filter("eid < since_eid").select("eid", "vid", "since_eid")
 
 
-def run_tree(edges: DataFrame, tree: JoinTree, graph: QueryGraph, gated: bool = False, gate: str = "role", back: bool = True, within: str | None = None, semantics: str = "isomorphism") -> DataFrame:
+def _gates(prefix: DataFrame, at: list[str], i: int, gate: str) -> dict[str, DataFrame]:
+    """The vertices at which a piece is searched: those of its own roles, or all of a prefix match."""
+    if gate == "vertex":
+        return dict.fromkeys(at, gate_rows(prefix, i).select("vid"))
+    return {v: project_cut(prefix, [v]).withColumnRenamed(f"v_{v}", "vid") for v in at}
+
+
+def run_tree(edges: DataFrame, tree: JoinTree, graph: QueryGraph, gated: bool = False, gate: str = "role", back: bool = True, within: str | None = None, semantics: str = "isomorphism", vertices: DataFrame | None = None) -> DataFrame:
     """All matches: v_* and e_* columns and last_eid, the edge with which the match is complete.
 
     Ungated, every piece is matched everywhere. Gated, only leaf 0 is; leaf i is matched at vertices
-    of the prefix matches. With gate="role" those are its own cut vertices, and the lookup is the join
-    itself: a piece's edges are joined to the prefix one by one, the one at the cut first, so that no
-    pair is made where no prefix match is. With gate="vertex" an edge passes at any vertex of a match
-    (the bitmap's form) before it is paired; prefixes are then used twice and so checkpointed.
-    back=False keeps only leaf matches that are complete after their prefix.
+    of the prefix matches. With gate="role" those are its own cut vertices. A piece of one edge, or of
+    two that meet in the cut or of which one lies away from it, is joined to the prefix edge by edge,
+    the one with more cut vertices first, and that join is the lookup. The two edges of a piece that
+    reaches the cut at both ends are looked up first, then paired, and the pair is joined on the whole
+    cut, so that no hub at one end is multiplied by the prefix. With gate="vertex" an edge passes at any
+    vertex of a match (the bitmap's form). Prefixes that are used twice are checkpointed.
+    back=False keeps only leaf matches that are complete after their prefix. within: an interval of
+    time, such as "'2' DAY", in which all edges of a match lie; every join tests it.
     """
-    kinds = edge_kinds(tree)
-    prefix = leaf_matches(edges, tree.leaves[0], graph, semantics)
+    kinds, times = edge_kinds(tree), bool(within)
+    prefix = leaf_matches(edges, tree.leaves[0], graph, semantics, None, times, vertices, within)
     for i, leaf in enumerate(tree.leaves[1:], 1):
         at = tree.cut(i)
         names = [f"e_{e.name}" for e in leaf.edges]
         before = prefix.columns
-        if gated and at and gate == "role":
+        spans = len(leaf.edges) == 2 and leaf.centre not in at and all(set(e.ends) & set(at) for e in leaf.edges)
+        if gated and at and gate == "role" and not spans:
             joined = prefix
-            for e in sorted(leaf.edges, key=lambda e: not set(e.ends) & set(at)):
-                joined = join_bindings(joined, edge_matches(edges, e, graph, semantics), kinds, semantics)
+            for e in sorted(leaf.edges, key=lambda e: -len(set(e.ends) & set(at))):
+                joined = join_bindings(joined, edge_matches(edges, e, graph, semantics, times, vertices), kinds, semantics, within=within)
         else:
             gates = None
             if gated and at:
                 prefix = cut(prefix)
-                gates = dict.fromkeys(at, gate_rows(prefix, i).select("vid"))
-            joined = join_bindings(prefix, leaf_matches(edges, leaf, graph, semantics, gates), kinds, semantics)
+                gates = _gates(prefix, at, i, gate)
+            joined = join_bindings(prefix, leaf_matches(edges, leaf, graph, semantics, gates, times, vertices, within), kinds, semantics, within=within)
         if not back:
             joined = joined.filter(last_eid(names) > last_eid(before))
         prefix = joined
-    out = prefix.withColumn("last_eid", last_eid(prefix.columns))
-    return within_window(out, edges, within) if within else out
+    return prefix.select(*[c for c in prefix.columns if not c.startswith("t_")], last_eid(prefix.columns).alias("last_eid"))
 
 
-def within_window(matches: DataFrame, edges: DataFrame, within: str) -> DataFrame:
-    """Matches whose edges lie within an interval of time, such as "2 days"."""
-    names = [c for c in matches.columns if c.startswith("e_")]
-    timed = matches
-    for c in names:
-        when = edges.select(F.col("eid").alias(f"_{c}"), F.col("ts").alias(f"t{c}"))
-        timed = timed.join(when, timed[c] == when[f"_{c}"]).drop(f"_{c}")
-    times = [F.col(f"t{c}") for c in names]
-    if len(times) > 1:
-        timed = timed.filter(F.greatest(*times) <= F.least(*times) + F.expr(f"INTERVAL {within}"))
-    return timed.select(*matches.columns)
+def without_look_back(edges: DataFrame, tree: JoinTree, graph: QueryGraph) -> DataFrame:
+    """The form that never looks back, for one-edge pieces: an edge that arrives before its vertex is enabled is not searched, and so never stored."""
+    kinds, prefix = edge_kinds(tree), leaf_matches(edges, tree.leaves[0], graph)
+    for i, leaf in enumerate(tree.leaves[1:], 1):
+        if len(leaf.edges) > 1:
+            raise ValueError("pieces of one edge only")
+        prefix = cut(prefix)
+        since = prefix.withColumn("_e", last_eid(prefix.columns))
+        gates = {v: since.groupBy(F.col(f"v_{v}").alias("vid")).agg(F.min("_e").alias("since_eid")) for v in tree.cut(i)}
+        prefix = join_bindings(prefix, leaf_matches(edges, leaf, graph, gates=gates), kinds)
+    return prefix.withColumn("last_eid", last_eid(prefix.columns))
 
 
 def endpoint_gated(edges: DataFrame, tree: JoinTree, graph: QueryGraph) -> DataFrame:
@@ -192,16 +232,38 @@ def canonical_subgraphs(matches: DataFrame) -> DataFrame:
 
 def stored_rows(edges: DataFrame, tree: JoinTree, graph: QueryGraph, gated: bool = False, gate: str = "role") -> DataFrame:
     """leaf, stored: rows that each leaf keeps."""
-    out, prefix = None, None
+    return tree_counters(edges, tree, graph, gated, gate).select("leaf", "stored")
+
+
+def tree_counters(edges: DataFrame, tree: JoinTree, graph: QueryGraph, gated: bool = False, gate: str = "role") -> DataFrame:
+    """What a run does, leaf by leaf, whatever the batches: leaf, searches, neighbours, stored, probes, results.
+
+    searches: edges of the piece's kinds around which it is searched (gated, those that pass the gate);
+    neighbours: second edges seen at their centres (0 for one edge); stored: matches of the leaf;
+    probes: lookups in the sibling, one for each row of either side; results: matches of the joined prefix.
+    """
+    kinds, out, prefix = edge_kinds(tree), None, None
     for i, leaf in enumerate(tree.leaves):
         gates = None
         if gated and i:
-            prefix = cut(prefix)
-            at = tree.cut(i)
-            gates = {v: (project_cut(prefix, [v]).withColumnRenamed(f"v_{v}", "vid") if gate == "role" else gate_rows(prefix, i).select("vid")) for v in at}
-        own = leaf_matches(edges, leaf, graph, gates=gates)
-        row = own.agg(F.count("*").alias("stored")).select(F.lit(i).cast("int").alias("leaf"), "stored")
+            gates = _gates(prefix, tree.cut(i), i, gate)
+        passed = [leaf_matches(edges, Leaf((e,)), graph, gates=gates) for e in leaf.edges]
+        searches = reduce(lambda a, b: a.unionByName(b), [x.select(F.col(f"e_{e.name}").alias("e")) for x, e in zip(passed, leaf.edges, strict=True)]).agg(F.count("*").alias("searches"))
+        row = searches
+        if len(leaf.edges) == 2:
+            one, two = (x.groupBy(F.col(f"v_{leaf.centre}").alias("c")).agg(F.count("*").alias(n)) for x, n in zip(passed, ("n", "m"), strict=True))
+            row = row.join(F.broadcast(one.join(two, "c").agg(F.coalesce(F.sum(F.col("n") * F.col("m")), F.lit(0)).cast("long").alias("neighbours"))))
+        else:
+            row = row.withColumn("neighbours", F.lit(0).cast("long"))
+        own = cut(leaf_matches(edges, leaf, graph, gates=gates))
+        row = row.join(F.broadcast(own.agg(F.count("*").alias("stored"))))
+        if prefix is None:
+            prefix = own
+            row = row.withColumn("probes", F.lit(0).cast("long")).withColumn("results", F.col("stored"))
+        else:
+            rows = prefix.count()
+            prefix = cut(join_bindings(prefix, own, kinds))
+            row = row.withColumn("probes", F.col("stored") + F.lit(rows).cast("long")).join(F.broadcast(prefix.agg(F.count("*").alias("results"))))
+        row = row.select(F.lit(i).cast("int").alias("leaf"), "searches", "neighbours", "stored", "probes", "results")
         out = row if out is None else out.unionByName(row)
-        if i < len(tree.leaves) - 1:
-            prefix = own if prefix is None else join_bindings(prefix, own, edge_kinds(tree))
     return out

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from graphwatch.model import QueryGraph
+from graphwatch.model import QueryEdge, QueryGraph
 from graphwatch.sources.graphs import BANDS, BITS, CODES
 
 
@@ -72,26 +72,56 @@ edges AS MATERIALIZED (SELECT row_number() OVER (ORDER BY ts, etype, src, dst) -
 GRAPHS = {"facet": FACET, "host": HOST, "community": COMMUNITY, "trade": TRADE, "social": SOCIAL}
 
 
+def _side(graph: QueryGraph, e: QueryEdge) -> str:
+    """The edges of one query edge: kind and predicates only."""
+    rows, tests = "edges", [f"etype = '{e.etype}'"]
+    for v, c in ((e.src, "src"), (e.dst, "dst")):
+        if p := graph.predicate(v):
+            rows = f"(SELECT *, {c} AS vid FROM (SELECT eid, src, dst, etype, ts FROM {rows}) WHERE {' AND '.join(tests)})"
+            tests = [f"({p})"]
+    if e.predicate:
+        tests.append(f"({e.predicate})")
+    return f"(SELECT eid, src, dst, ts FROM {rows} WHERE {' AND '.join(tests)}) {e.name}"
+
+
 def matches(graph: QueryGraph, extra: str = "", within: str | None = None) -> str:
-    """A join of the edges with themselves, one copy for each query edge; all vertices and all edges differ."""
-    at: dict[str, list[str]] = {}
-    for e in graph.edges:
-        at.setdefault(e.src, []).append(f"{e.name}.src")
-        at.setdefault(e.dst, []).append(f"{e.name}.dst")
-    tests = [f"{e.name}.etype = '{e.etype}'" for e in graph.edges]
-    tests += [f"{x[0]} = {y}" for x in at.values() for y in x[1:]]
-    names = list(at)
-    tests += [f"{at[a][0]} <> {at[b][0]}" for i, a in enumerate(names) for b in names[i + 1 :]]
-    tests += [f"{a.name}.eid <> {b.name}.eid" for i, a in enumerate(graph.edges) for b in graph.edges[i + 1 :] if a.etype == b.etype]
-    tests += ["(" + v.predicate.replace("vid", at[v.name][0]) + ")" for v in graph.vertices if v.predicate]
+    """A join of the edges with themselves, one copy for each query edge; all vertices and all edges differ.
+
+    Written as connected joins in the pattern's own order, so that it is quick without a join reordering too.
+    """
+    at: dict[str, str] = {}
+    done: list[QueryEdge] = []
+    left, sources, last = list(graph.edges), "", []
+    while left:
+        e = next((e for e in left if not at or set(e.ends) & set(at)), left[0])
+        left.remove(e)
+        tests = []
+        for v, c in ((e.src, f"{e.name}.src"), (e.dst, f"{e.name}.dst")):
+            if v in at:
+                tests.append(f"{c} = {at[v]}")
+            else:
+                tests += [f"{c} <> {x}" for x in at.values()]
+                at[v] = c
+        tests += [f"{e.name}.eid <> {o.name}.eid" for o in done if o.etype == e.etype]
+        done.append(e)
+        if sources:
+            sources += f" JOIN {_side(graph, e)} ON {' AND '.join(tests)}"
+        else:
+            sources, last = _side(graph, e), tests
     if extra:
-        tests.append(extra)
+        last.append(extra)
     if within and len(graph.edges) > 1:
         times = ", ".join(f"{e.name}.ts" for e in graph.edges)
-        tests.append(f"greatest({times}) <= least({times}) + INTERVAL {within}")
+        last.append(f"greatest({times}) <= least({times}) + INTERVAL {within}")
     eids = ", ".join(f"{e.name}.eid" for e in graph.edges)
-    columns = [f"CAST({x[0]} AS BIGINT) AS v_{v}" for v, x in at.items()] + [f"{e.name}.eid AS e_{e.name}" for e in graph.edges]
-    return f"SELECT {', '.join(columns)}, greatest({eids}) AS last_eid FROM {', '.join(f'edges {e.name}' for e in graph.edges)} WHERE {' AND '.join(tests)}"
+    columns = [f"CAST({at[v]} AS BIGINT) AS v_{v}" for v in graph.vertex_names] + [f"{e.name}.eid AS e_{e.name}" for e in graph.edges]
+    return f"SELECT {', '.join(columns)}, greatest({eids}) AS last_eid FROM {sources}{' WHERE ' + ' AND '.join(last) if last else ''}"
+
+
+def diamond_count(a: str, b: str) -> str:
+    """Two articles that share both facets: of the c articles of a pair of facets, c * (c - 1) ordered pairs."""
+    pairs = f"SELECT one.dst AS x, two.dst AS y, count(*) AS c FROM (SELECT src, dst FROM edges WHERE etype = '{a}') one JOIN (SELECT src, dst FROM edges WHERE etype = '{b}') two ON one.src = two.src AND one.dst <> two.dst GROUP BY 1, 2"
+    return f"SELECT CAST(coalesce(sum(c * (c - 1)), 0) AS BIGINT) AS n FROM ({pairs})"
 
 
 def over(graph_name: str, body: str, ctes: str = "") -> str:

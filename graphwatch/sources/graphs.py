@@ -50,15 +50,23 @@ def composite_kind(columns: list[str]) -> Column:
     return F.concat_ws("_", *columns)
 
 
-_MADE: dict[tuple, DataFrame] = {}
+_MADE: dict[tuple, tuple[tuple, DataFrame]] = {}
+
+
+def _state_of(spark: SparkSession, folder: str) -> tuple:
+    """Names, times and sizes of what a folder holds, from whatever store it is in."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    found = path.getFileSystem(spark._jsc.hadoopConfiguration()).listStatus(path)
+    return tuple(sorted((x.getPath().getName(), x.getModificationTime(), x.getLen()) for x in found))
 
 
 def _kept(spark: SparkSession, key: tuple, make) -> DataFrame:
-    """A graph is built once for an application and folder."""
+    """A graph is built once for an application and folder, and again if the folder's files change."""
     key = (spark.sparkContext.applicationId, *key)
-    if key not in _MADE:
-        _MADE[key] = cut(make())
-    return _MADE[key]
+    state = _state_of(spark, key[1])
+    if key not in _MADE or _MADE[key][0] != state:
+        _MADE[key] = state, cut(make())
+    return _MADE[key][1]
 
 
 def assign_eid(raw: DataFrame, order: list[str]) -> DataFrame:
@@ -122,10 +130,14 @@ def trade_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _kept(spark, (sf_dir, "trade"), make)
 
 
-def _ranked(df: DataFrame, value: Column) -> DataFrame:
-    """df with ``_k``, the rank of value among its distinct values; one row for each category meets in the window."""
+def _ranked(df: DataFrame, value: Column, many: bool = False) -> DataFrame:
+    """df with ``_k``, the rank of value among its distinct values. many: their number grows with the data; else one row for each category meets in a window."""
     valued = df.withColumn("_v", value)
-    ranks = valued.select("_v").distinct().withColumn("_k", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("_v")) - 1)
+    each = valued.select("_v").distinct()
+    if many:
+        ranks = range_rank(each, [F.col("_v")], "_k")
+    else:
+        ranks = each.withColumn("_k", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy("_v")) - 1)
     return valued.join(ranks, "_v")
 
 
@@ -135,7 +147,7 @@ def social_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
     def make():
         t = {n: load(spark, sf_dir, n) for n in "orders lineitem customer supplier part nation documents labels pages conversations events".split()}
         flags = F.concat(F.col("l_returnflag"), F.col("l_linestatus"))
-        category = lambda table, kind, key, value, target, name, ts=None: _edges(_ranked(t[table], value), vid(kind, key), vid(target, "_k"), name, ts)
+        category = lambda table, kind, key, value, target, name, ts=None, many=False: _edges(_ranked(t[table], value, many), vid(kind, key), vid(target, "_k"), name, ts)
         parts = [
             _edges(t["customer"], vid("customer", "c_custkey"), vid("nation", "c_nationkey"), "in_nation", None),
             _edges(t["supplier"], vid("supplier", "s_suppkey"), vid("nation", "s_nationkey"), "from_nation", None),
@@ -147,7 +159,7 @@ def social_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
             category("documents", "document", "doc_id", F.col("lang"), "lang", "lang"),
             _edges(t["labels"], vid("document", "doc_id"), vid("quality", "quality"), "quality", None),
             _edges(t["labels"], vid("document", "doc_id"), vid("toxic", "toxic"), "toxic", None),
-            category("pages", "page", "page_id", F.regexp_extract("url", r"://([^/?#]*)", 1), "site", "site"),
+            category("pages", "page", "page_id", F.regexp_extract("url", r"://([^/?#]*)", 1), "site", "site", many=True),
             _edges(t["conversations"], vid("conversation", "conv_id"), vid("turn", F.col("conv_id") * 65536 + F.col("turn")), F.concat(F.lit("turn_"), F.col("role")), None),
             _edges(t["orders"], vid("customer", "o_custkey"), vid("order", "o_orderkey"), "places", "o_orderdate"),
             category("orders", "order", "o_orderkey", F.col("o_orderpriority"), "priority", "prio", "o_orderdate"),
@@ -161,6 +173,12 @@ def social_graph(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _kept(spark, (sf_dir, "social"), make)
 
 
+def social_vertices(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """vid, vtype, label of the vertices that have a name in the tables."""
+    names = {"customer": ("c_custkey", "c_mktsegment"), "supplier": ("s_suppkey", "s_name"), "part": ("p_partkey", "p_type"), "nation": ("n_nationkey", "n_name"), "region": ("r_regionkey", "r_name")}
+    return _union([load(spark, sf_dir, t).select(vid(t, k).alias("vid"), F.lit(t).alias("vtype"), F.col(v).alias("label")) for t, (k, v) in names.items()])
+
+
 def read_edges(spark: SparkSession, path: str, fmt: str = "parquet") -> DataFrame:
     """An edge list in parquet, csv, json or as text triples ``<src> <etype> <dst> .``; text has no time, so eid is the place in the order of its columns."""
     schema = "eid long, src long, dst long, etype string, ts timestamp_ntz"
@@ -174,8 +192,10 @@ def read_edges(spark: SparkSession, path: str, fmt: str = "parquet") -> DataFram
 
 def drop_vertices(edges: DataFrame, predicate: str) -> DataFrame:
     """edges without those that touch a vertex for which the SQL predicate over vid holds."""
-    at = lambda c: F.expr(predicate.replace("vid", c))
-    return edges.filter(~(at("src") | at("dst")))
+    held = edges
+    for c in ("src", "dst"):
+        held = held.withColumn("vid", F.col(c)).filter(~F.coalesce(F.expr(predicate), F.lit(False))).drop("vid")
+    return held
 
 
 def hub_vertices(edges: DataFrame, k: int) -> DataFrame:
