@@ -2,8 +2,9 @@
 
 A mask picks some of the words of a short span and ignores the others. The hashes of the picked
 words are looked up at every place of every text, so a substituted word hides a passage only from
-the masks that pick it. At a hit, text and item are compared word by word along the hit's diagonal,
-within a fixed radius; the best stretch with at least ``similarity`` equal words decides.
+the masks that pick it. All hits of a text and an item on one diagonal are one candidate, and text and
+item are compared word by word along the whole of it; the best stretch with at least ``similarity``
+equal words decides. Items too short for the masks are looked up whole.
 
 Inside the projection, words and hashes are tested against bitmaps of fixed size, which let through
 all true hits and few others; only those become rows and are joined with the test hashes.
@@ -21,8 +22,11 @@ from graphwatch.llm.text import once, text_or_empty, words
 
 #: Places that each mask picks; five words each.
 MASKS = ((0, 1, 2, 4, 5), (0, 1, 3, 5, 6), (0, 2, 3, 6, 7))
-#: Words on each side of a hit that are compared; least equal words; least share of the item (or of what the radius can show).
-RADIUS, MIN_WORDS, SIMILARITY, SHARE = 64, 8, 0.8, 0.5
+#: An overlap is a stretch with this share of equal words, of which there are as many as half of the item, but at
+#: least 8 (or the whole item, if it is shorter), and never more than 64: a passage of that length is one in any item.
+MIN_WORDS, LONG_WORDS, SIMILARITY, SHARE = 8, 64, 0.8, 0.5
+#: Texts with candidates that are broadcast at most, for their second reading.
+BROADCAST_TEXTS = 200_000
 #: A test set of at most so many words is broadcast; a larger one is joined by shuffling.
 BROADCAST_WORDS = 300_000
 #: Bytes of the bitmap of test hashes, and longs of that of test words, at least and at most.
@@ -36,24 +40,32 @@ def word_hashes(text: Column) -> Column:
     return F.transform(words(F.lower(text)), lambda w: F.xxhash64(F.btrim(w, F.lit(_EDGE))))
 
 
-def _seed(h: str, at: Column, mask: int) -> Column:
-    return F.xxhash64(F.lit(mask), *[F.get(F.col(h), at + p if p else at) for p in MASKS[mask]])
+def _seed(h: str, at: Column, mask: tuple[int, ...]) -> Column:
+    return F.xxhash64(F.lit(",".join(map(str, mask))), *[F.get(F.col(h), at + p if p else at) for p in mask])
 
 
-def _places(h: str, mask: int) -> Column:
-    last = F.size(h) - (MASKS[mask][-1] + 1)
+def _places(h: str, mask: tuple[int, ...]) -> Column:
+    last = F.size(h) - (mask[-1] + 1)
     return F.when(last >= 0, F.sequence(F.lit(0), last)).otherwise(F.array().cast("array<int>"))
 
 
-def test_seeds(benchmark: DataFrame, text: str = "text", item_id: str = "item_id") -> tuple[DataFrame, DataFrame]:
-    """(items: item_id, item; seeds: seed, item_id, q). Items with fewer words than the shortest mask have no seed and match nothing."""
+def masks_for(lengths: list[int]) -> list[tuple[int, ...]]:
+    """The masks, and for each number of words of an item that is too short to be found by all of them, or to lose a word, all its words."""
+    return [*MASKS, *(tuple(range(n)) for n in sorted(set(lengths)) if 0 < n < MIN_WORDS)]
+
+
+def test_seeds(benchmark: DataFrame, text: str = "text", item_id: str = "item_id") -> tuple[DataFrame, DataFrame, list[tuple[int, ...]]]:
+    """(items: item_id, item; seeds: seed, item_id, q, n; masks). Items without words match nothing."""
     items = benchmark.select(benchmark[item_id].alias("item_id"), word_hashes(text_or_empty(benchmark[text])).alias("item")).filter("item_id is not null").dropDuplicates(["item_id", "item"])
     items = table(items, "bench-items")
-    seeds = None
-    for m in range(len(MASKS)):
-        own = items.select("item_id", "item", F.explode(_places("item", m)).alias("q")).select(_seed("item", F.col("q"), m).alias("seed"), "item_id", "q")
+    short = items.filter(F.size("item") < MIN_WORDS).select(F.size("item").alias("n")).distinct().collect()
+    masks, seeds = masks_for([r.n for r in short]), None
+    for m in masks:
+        whole = len(m) < MIN_WORDS and m == tuple(range(len(m)))
+        rows = items.filter(F.size("item") == len(m) if whole else F.size("item") >= MIN_WORDS)
+        own = rows.select("item_id", F.size("item").alias("n"), "item", F.explode(_places("item", m)).alias("q")).select(_seed("item", F.col("q"), m).alias("seed"), "item_id", "q", "n")
         seeds = own if seeds is None else seeds.unionByName(own)
-    return items, table(seeds, "bench-seeds")
+    return items, table(seeds, "bench-seeds"), masks
 
 
 def _byte_and_bit(seed: Column, size: int) -> tuple[Column, Column]:
@@ -95,43 +107,42 @@ def contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text", doc
     """doc_id, item_id, item_words, matched_words, first_word: one row for each document and item that overlap.
 
     matched_words: most equal words of one stretch; first_word: where the item would begin in that
-    text. Null texts have no words; rows with a null doc_id or item_id are left out, since a pair
+    text, the first such place of those with most. Null texts have no words; rows with a null doc_id or item_id are left out, since a pair
     could not name them; rows that share a doc_id are one document. Empty tables give an empty result.
     """
-    items, seeds = test_seeds(benchmark, bench_text, item_id)
-    n_words, n_seeds = items.agg(F.coalesce(F.sum(F.size("item")), F.lit(0)), F.count("*")).first()
-    small = n_words <= BROADCAST_WORDS
-    sized = F.broadcast if small else (lambda df: df)
+    items, seeds, masks = test_seeds(benchmark, bench_text, item_id)
+    n_words = items.agg(F.coalesce(F.sum(F.size("item")), F.lit(0))).first()[0]
+    sized = F.broadcast if n_words <= BROADCAST_WORDS else (lambda df: df)
     size = BITMAP_BYTES[0]
-    while size < BITMAP_BYTES[1] and size < 8 * n_words * len(MASKS):
+    while size < BITMAP_BYTES[1] and size < 8 * n_words * len(masks):
         size *= 2
     bitmap = _bitmap(seeds, size)
     longs = WORD_LONGS[0]
     while longs < WORD_LONGS[1] and 2 * longs < n_words:
         longs *= 2
     known = _known_words(items, longs)
-    rows = docs.filter(docs[doc_id].isNotNull()).select(docs[doc_id].alias("doc_id"), once(word_hashes(text_or_empty(docs[text]))).alias("h"))
-    rows = rows.select("doc_id", once(F.transform("h", lambda w: _if_known(known, w, longs))).alias("h"))
-    def found(m: int) -> Column:
+    hashed = docs.filter(docs[doc_id].isNotNull()).select(docs[doc_id].alias("doc_id"), once(word_hashes(text_or_empty(docs[text]))).alias("h"))
+    rows = hashed.select("doc_id", once(F.transform("h", lambda w: _if_known(known, w, longs))).alias("h"))
+
+    def found(mask: tuple[int, ...]) -> Column:
         def may(i: Column) -> Column:
             """All picked words are words of the test set, and so is their hash one of its hashes."""
-            words_known = [F.get("h", i + p if p else i) != 0 for p in MASKS[m]]
-            return reduce(lambda a, b: a & b, words_known) & _in_bitmap(bitmap, _seed("h", i, m), size)
-
-        kept = F.filter(_places("h", m), may)
-        return F.transform(kept, lambda i: F.struct(_seed("h", i, m).alias("seed"), i.alias("p")))
-
-    rows = rows.select("doc_id", "h", once(F.concat(*map(found, range(len(MASKS))))).alias("hits"))
-    # A hit carries the words around it, not the text.
-    around = F.transform("hits", lambda x: F.struct(x["seed"].alias("seed"), x["p"].alias("p"), F.slice("h", F.greatest(x["p"] - RADIUS, F.lit(0)) + 1, 2 * RADIUS + 8).alias("w")))
-    hits = rows.select("doc_id", F.explode(around).alias("x")).select("doc_id", "x.*")
-    hits = hits.join(sized(seeds), "seed").join(sized(items), "item_id")
-    begin = F.greatest(F.col("p") - RADIUS, F.lit(0))  # place of w[0] in the text
-    shift = F.col("p") - F.col("q") - begin  # place of the item's first word in w
-    length = F.size("item")
-    low, high = F.greatest(F.col("q") - RADIUS, F.lit(0), -shift), F.least(F.col("q") + RADIUS + 7, length - 1, F.size("w") - 1 - shift)
-    hits = hits.withColumn("_shift", shift).withColumn("_low", low).withColumn("_high", high)
-    equal = F.transform(F.sequence("_low", "_high"), lambda j: F.get("w", j + F.col("_shift")) == F.get("item", j))
+            words_known = [F.get("h", i + p if p else i) != 0 for p in mask]
+            return reduce(lambda a, b: a & b, words_known) & _in_bitmap(bitmap, _seed("h", i, mask), size)
+
+        return F.transform(F.filter(_places("h", mask), may), lambda i: F.struct(_seed("h", i, mask).alias("seed"), i.alias("p")))
+
+    hits = rows.select("doc_id", F.explode(once(F.concat(*map(found, masks)))).alias("x")).select("doc_id", "x.*")
+    # One candidate for each diagonal, however many hits it has; then one row for each text that has any.
+    lines = hits.join(sized(seeds), "seed").select("doc_id", "item_id", "n", (F.col("p") - F.col("q")).alias("begin")).distinct()
+    texts = table(lines.groupBy("doc_id").agg(F.collect_list(F.struct("item_id", "n", "begin")).alias("lines")), "bench-candidates")
+    few = F.broadcast if texts.count() <= BROADCAST_TEXTS else (lambda df: df)
+    again = hashed.join(few(texts.withColumnRenamed("doc_id", "_id")), F.col("doc_id") == F.col("_id"))
+    # A candidate carries the words that lie along the item, not the text.
+    along = F.transform("lines", lambda x: F.struct(x["item_id"].alias("item_id"), x["begin"].alias("begin"), F.slice("h", F.greatest(x["begin"], F.lit(0)) + 1, F.greatest(x["n"] + F.least(x["begin"], F.lit(0)), F.lit(0))).alias("w")))
+    pairs = again.select("doc_id", F.explode(along).alias("x")).select("doc_id", "x.*").join(sized(items), "item_id")
+    skipped = F.greatest(-F.col("begin"), F.lit(0))  # words of the item before the text's first
+    equal = F.zip_with(F.slice("item", skipped + 1, F.size("w")), "w", lambda a, b: F.coalesce(a == b, F.lit(False)))
     # Best stretch: an equal word adds 1, another takes off so much that the stretch stays similar enough.
     off = int(round(SIMILARITY / (1 - SIMILARITY)))
     start = F.struct(*[F.lit(0).alias(c) for c in ("score", "same", "best", "matched")])
@@ -144,11 +155,11 @@ def contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text", doc
         return F.struct(score.alias("score"), same.alias("same"), F.when(better, score).otherwise(s["best"]).alias("best"), F.when(better, same).otherwise(s["matched"]).alias("matched"))
 
     matched = F.aggregate(equal, start, step, lambda s: s["matched"])
-    hits = hits.select("doc_id", "item_id", length.cast("long").alias("item_words"), (F.col("p") - F.col("q")).cast("long").alias("first_word"), matched.cast("long").alias("matched_words"))
-    needed = F.least(F.greatest(F.lit(MIN_WORDS), F.ceil(F.col("item_words") * SHARE)), F.lit(RADIUS), F.col("item_words"))
-    hits = hits.filter(F.col("matched_words") >= needed)
+    pairs = pairs.select("doc_id", "item_id", F.size("item").cast("long").alias("item_words"), F.col("begin").cast("long").alias("first_word"), matched.cast("long").alias("matched_words"))
+    needed = F.least(F.greatest(F.lit(MIN_WORDS), F.ceil(F.col("item_words") * SHARE)), F.lit(LONG_WORDS), F.col("item_words"))
+    pairs = pairs.filter(F.col("matched_words") >= needed)
     best = F.max(F.struct("matched_words", (-F.col("first_word")).alias("b"), "item_words")).alias("m")
-    return hits.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "m.item_words", "m.matched_words", (-F.col("m.b")).alias("first_word"))
+    return pairs.groupBy("doc_id", "item_id").agg(best).select("doc_id", "item_id", "m.item_words", "m.matched_words", (-F.col("m.b")).alias("first_word"))
 
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, text: str = "text", doc_id: str = "doc_id") -> DataFrame:

@@ -137,6 +137,44 @@ def test_licenses_whose_trigger_word_is_changed(spark):
             assert bool(licenses.scan_text(" ".join(words), [t])) == reached
 
 
+def test_licenses_against_all_windows(spark):
+    """The scan against alignments at every place of the text, and whole licences with changed words among other text."""
+    r, rows = random.Random(21), []
+    for k, (name, text) in enumerate(list(licenses.TEMPLATES.items()) * 2):
+        words = text.split()
+        for _ in range(int(len(words) * (0.05 if k % 2 else 0.3))):
+            words[r.randrange(len(words))] = r.choice(["changed", "the", "software", "license"])
+        rows.append((k, prose(k, 20) + " " + " ".join(words) + " " + prose(k + 99, 20)))
+    rows += [(90, None), (91, ""), (92, "license " * 500), (93, prose(5, 30_000) + " " + licenses.TEMPLATES["ISC-text"]), (94, "_Permission_ " + licenses.TEMPLATES["MIT"]), (94, "x")]
+    known = [licenses.Template(k, v) for k, v in licenses.TEMPLATES.items()]
+    want = Counter()
+    for d, text in rows:
+        words = licenses._WORD.findall((text or "").lower())
+        found = set()
+        for t in known if len(words) < 2000 else []:
+            n = len(t.words)
+            slack = max(1, int(n * licenses.SLACK))
+            for p in range(-n, len(words)):
+                lo, hi = max(0, p - slack), min(len(words), p + n + slack)
+                if lo >= hi or (Counter(words[lo:hi]) & Counter(t.words)).total() < t.least(licenses.MIN_COVERAGE):
+                    continue
+                found.add((t.name, len(licenses.align(words, t.words, lo, hi)) >= t.least(licenses.MIN_COVERAGE)))
+        for name in {x for x, ok in found if ok}:
+            want[d, name] += 1
+    df = spark.createDataFrame(rows, "doc_id long, text string").withColumn("license", F.lit("clash")).withColumn("coverage", F.lit(0))
+    got = defaultdict(set)
+    for x in licenses.license_matches(df).collect():
+        got[x.doc_id].add(x.license)
+        assert x.coverage >= licenses.MIN_COVERAGE
+    # Of templates that overlap in a text, the longest is told; so each text is found, by one of those that cover it.
+    covered = defaultdict(set)
+    for d, name in want:
+        covered[d].add(name)
+    assert {d for d in got if d != 93} == set(covered) and all(got[d] <= covered[d] for d in covered) and got[93] == {"ISC-text"}
+    assert all(got[k] == {n} for k, n in enumerate(licenses.TEMPLATES) if k % 2 and n.endswith("-text"))
+    assert licenses.license_matches(df.limit(0)).count() == 0
+
+
 def test_alignment_is_increasing_and_equal():
     r = random.Random(2)
     for _ in range(200):
@@ -158,6 +196,56 @@ def test_contamination(spark):
     assert decontaminate.contamination(docs, bench.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("broadcast", [True, False])
+def test_contamination_against_brute_force(spark, monkeypatch, broadcast):
+    """All diagonals of all pairs on which some mask finds all its words, compared word by word."""
+    if not broadcast:
+        monkeypatch.setattr(decontaminate, "BROADCAST_WORDS", 0)
+        monkeypatch.setattr(decontaminate, "BROADCAST_TEXTS", 0)
+    r = random.Random(12)
+    words = lambda n, top=400: [f"v{r.randrange(top)}" for _ in range(n)]
+    items = [words(n) for n in (3, 5, 6, 7, 8, 9, 20, 40, 150, 400)] + [["same"] * 12]
+    items.append(items[7][:])  # a tie
+    rows = []
+    for k, item in enumerate(items * 3):
+        lost = [w if r.random() > 0.12 * (k % 4) else "zz" for w in item]
+        cut = slice(r.randint(0, len(item) // 3), len(item) - r.randint(0, len(item) // 3)) if k % 2 else slice(None)
+        rows.append((k, " ".join(words(30, 4000) + lost[cut] + words(r.randint(0, 30), 4000))))
+    rows += [(90, " ".join(items[8] * 3)), (91, " ".join(["same"] * 40)), (92, " ".join(words(20_000, 900))), (92, " ".join(items[6])), (93, None), (None, " ".join(items[6]))]
+    bench = [(i, " ".join(x)) for i, x in enumerate(items)] + [(50, None), (51, ""), (None, "v1 v2 v3")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").withColumn("item_id", F.lit("clash")).withColumn("h", F.lit(0))
+    got = {(x.doc_id, x.item_id): (x.item_words, x.matched_words, x.first_word) for x in decontaminate.contamination(docs, spark.createDataFrame(bench, "item_id long, text string")).collect()}
+    want = {}
+    for d, text in rows:
+        t = (text or "").split()
+        for i, body in bench:
+            item = (body or "").split()
+            if d is None or i is None or not item:
+                continue
+            masks = decontaminate.MASKS if len(item) >= 8 else [tuple(range(len(item)))]
+            begins = set()
+            for m in masks:
+                where = defaultdict(list)
+                for q in range(len(item) - m[-1]):
+                    where[tuple(item[q + p] for p in m)].append(q)
+                for at in range(len(t) - m[-1]):
+                    begins |= {at - q for q in where.get(tuple(t[at + p] for p in m), ())}
+            for b in begins:
+                equal = [item[j] == t[j + b] for j in range(len(item)) if 0 <= j + b < len(t)]
+                score = same = best = most = 0
+                for e in equal:
+                    same = (0 if score <= 0 else same) + e
+                    score = max(score, 0) + 1 if e else score - 4
+                    if score > best:
+                        best, most = score, same
+                if most >= min(max(8, -(-len(item) // 2)), 64, len(item)):
+                    have = want.get((d, i))
+                    if have is None or (most, -b) > (have[1], -have[2]):
+                        want[d, i] = (len(item), most, b)
+    assert got == want and len(want) > 12
+    assert decontaminate.contamination(docs.limit(0), spark.createDataFrame(bench, "item_id long, text string")).count() == 0
+
+
 def test_token_files(spark, docs, tmp_path):
     from tokenizers import Tokenizer
 
@@ -200,6 +288,50 @@ def test_url_filter(spark):
     assert urlfilter.judge(spark.createDataFrame([], "page_id long, url string")).count() == 0
 
 
+def test_url_model_against_brute_force(spark):
+    """Counts of all contexts, smoothed estimates, scores, the cut and the verdicts, in plain Python."""
+    r = random.Random(31)
+    word = lambda k: "".join(r.choice(k) for _ in range(r.randint(1, 6)))
+    rows = [(i, f"http://{word('abc')}.example.net/en/{word('abcd')}") for i in range(40)]  # allowed
+    rows += [(100 + i, f"http://{word('xyz')}.net/{word('wxyz')}") for i in range(40)]  # blocked
+    rows += [(200 + i, f"https://{word('abcxyz')}.io/{word(r.choice(['abcd', 'wxyz']))}?q") for i in range(40)]
+    rows += [(300, None), (301, ""), (302, "http://é.io/ü"), (303, rows[0][1]), (303, rows[85][1]), (304, "http://" + "ab" * 4000 + ".io/")]
+    df = spark.createDataFrame(rows, "page_id long, url string").withColumn("host", F.lit("clash")).withColumn("s", F.lit(1)).withColumn("score", F.lit("x"))
+    got = urlfilter.judge(df).select("_page.page_id", "host", "path", "rule", "verdict", "score", "cut").collect()
+    texts = sorted({(x.host + x.path).translate({i: i + 32 for i in range(65, 91)}) for x in got})
+    held = {x.s: x.h for x in spark.createDataFrame([(t,) for t in texts], "s string").select("s", (F.pmod(F.xxhash64("s"), F.lit(urlfilter.FOLDS)) == 0).alias("h")).collect()}
+    text = lambda x: (x.host + x.path).translate({i: i + 32 for i in range(65, 91)})
+    label = lambda x: None if x.rule is None else x.verdict
+    order, counts = urlfilter.ORDER, {"allow": Counter(), "block": Counter()}
+    follow = {"allow": Counter(), "block": Counter()}
+    for x in got:
+        if label(x) and not held[text(x)]:
+            p = "\x02" * order + text(x) + "\x03"
+            for e in range(order, len(p)):
+                for n in range(order + 1):
+                    counts[label(x)][p[e - n : e], p[e]] += 1
+                    follow[label(x)][p[e - n : e]] += 1
+
+    def prob(side, context, c):
+        shorter = 1 / urlfilter.ALPHABET if not context else prob(side, context[1:], c)
+        base = shorter if context else 1 / urlfilter.ALPHABET
+        return (counts[side][context, c] + urlfilter.PRIOR * base) / (follow[side][context] + urlfilter.PRIOR)
+
+    def score(t):
+        p = "\x02" * order + t + "\x03"
+        return sum(math.log(prob("allow", p[e - order : e], p[e])) - math.log(prob("block", p[e - order : e], p[e])) for e in range(order, len(p))) / (len(t) + 1)
+
+    want = {t: score(t) for t in texts if len(t) < 1000}
+    assert all(abs(x.score - want[text(x)]) < 1e-9 for x in got if text(x) in want)
+    sides = {k: sorted(want[t] for t in {text(x) for x in got if label(x) == k} if held[t]) for k in ("allow", "block")}
+    low, high = sides["allow"][max(0, math.ceil(0.05 * len(sides["allow"])) - 1)], sides["block"][max(0, math.ceil(0.95 * len(sides["block"])) - 1)]
+    assert all(abs(x.cut - (low + high) / 2) < 1e-9 for x in got)
+    assert all(x.verdict == ("allow" if x.score >= x.cut else "block") for x in got if x.rule is None)
+    # The model tells the two kinds of unknown hosts' paths apart.
+    right = [x.verdict == ("allow" if set(x.path) <= set("/abcd") else "block") for x in got if x.rule is None and x.host.endswith(".io") and x.page_id < 300]
+    assert sum(right) > 0.7 * len(right)
+
+
 def test_mixing(spark, docs):
     rows, draws = mixing.mix(docs, block_words=16)
     got = mixing.taken_words(rows, draws).collect()
