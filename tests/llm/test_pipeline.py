@@ -50,3 +50,29 @@ def test_pipeline(spark, tmp_path):
         assert x.tokens == [*model.encode(left[x.doc_id][0], add_special_tokens=False).ids, 1] and x.n_tokens == len(x.tokens)
     assert [x.doc_id for x in sorted(got, key=lambda x: (x.shard, x.local_start))] == sorted(x.doc_id for x in got)
     assert np.all(np.array([n for n in times.values()]) >= 1)
+
+
+def test_stages_on_odd_tables(spark, tmp_path):
+    """Empty tables, nulls in every column, repeated rows, ties, a long text, and columns with the names that operators use inside."""
+    import corpus_pipeline
+
+    schema = "doc_id long, text string, lang string, source string, n_chars long, _doc long, kept string, size long, h string, _id string"
+    good = "the and of to in " * 3 + " ".join(f"word{i}" for i in range(60))
+    other = "the and of to in " + " ".join(f"term{i}" for i in range(80))
+    rows = [(1, good, "en", "a", 5), (1, good, "en", "a", 5), (2, other, None, None, None), (None, other + " more", "en", "a", 1), (3, None, None, None, None), (4, "", "en", "b", 0), (5, "the and of " + " ".join(f"long{i % 9973}x{i % 7}" for i in range(60_000)), "en", "a", 1)]
+    spark.createDataFrame([], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    docs = spark.createDataFrame([(*r, 7, "k", 1, "h", "i") for r in rows], schema)
+    for table, left in ((docs, {1, 2, 5, None}), (docs.limit(0), set())):
+        for name, stage in corpus_pipeline.STAGES:
+            out = stage(spark, table, str(tmp_path))
+            if name != "token files":
+                assert out.columns == docs.columns, name
+            got = out.collect()
+            if name == "quality rules":
+                assert {r.doc_id for r in got} == left
+            elif name == "token files":
+                assert len(got) == table.count()
+            elif name == "source mix":
+                assert all(r.text for r in got) and len(got) >= len(left)
+            else:
+                assert {r.doc_id for r in got} == {r.doc_id for r in table.collect()}, name
