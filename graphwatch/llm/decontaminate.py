@@ -94,7 +94,8 @@ def _known_words(items: DataFrame, longs: int) -> Column:
     bit = F.call_function("shiftleft", F.lit(1).cast("long"), F.col("w").bitwiseAND(63).cast("int"))
     rows = word.select(F.call_function("shiftrightunsigned", "w", F.lit(6)).bitwiseAND(longs - 1).alias("i"), bit.alias("b")).groupBy("i").agg(F.bit_or("b").alias("b")).collect()
     have = {r.i: r.b for r in rows}
-    return F.expr("array(" + ",".join(f"bigint('{have.get(i, 0)}')" for i in range(longs)) + ")")
+    # Parsed once, by the optimizer: as an array of literals, each would be a node of the plan.
+    return F.from_json(F.lit("[" + ",".join(str(have.get(i, 0)) for i in range(longs)) + "]"), "array<bigint>")
 
 
 def _if_known(bits: Column, w: Column, longs: int) -> Column:
@@ -114,7 +115,7 @@ def contamination(docs: DataFrame, benchmark: DataFrame, text: str = "text", doc
     n_words = items.agg(F.coalesce(F.sum(F.size("item")), F.lit(0))).first()[0]
     sized = F.broadcast if n_words <= BROADCAST_WORDS else (lambda df: df)
     size = BITMAP_BYTES[0]
-    while size < BITMAP_BYTES[1] and size < 8 * n_words * len(masks):
+    while size < BITMAP_BYTES[1] and size < 2 * n_words * len(masks):
         size *= 2
     bitmap = _bitmap(seeds, size)
     longs = WORD_LONGS[0]
