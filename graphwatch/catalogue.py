@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from graphwatch import oracles as sql
 from graphwatch.api import watch
 from graphwatch.functions.storage import scratch_path, table
-from graphwatch.model import JoinTree, Leaf, QueryGraph, pattern
+from graphwatch.model import ANY, JoinTree, Leaf, QueryEdge, QueryGraph, pattern
 from graphwatch.operators import baselines, matching, stats
 from graphwatch.operators.delta import advance_all
 from graphwatch.plans import cutting, workload
@@ -90,22 +90,12 @@ for _name, _p in workload.SOCIAL.items():
         _add(f"{_name}__gated1", "social", _run(_p, "gated1"), sql.matches(_p))
 for _name in ("community_path4", "community_path4m"):
     _add(f"{_name}__auto", "community", _run(workload.COMMUNITY[_name], "auto"), sql.matches(workload.COMMUNITY[_name]))
-_add("watch_auto", "facet", _run(workload.facet_diamond("customer", "part"), "auto"), sql.matches(workload.facet_diamond("customer", "part")))
+_add("watch_auto", "facet", _run(workload.facet_diamond("customer", "supplier"), "auto"), sql.matches(workload.facet_diamond("customer", "supplier")))
 
 
-def _diamond_count(graph: QueryGraph) -> Callable[[DataFrame], DataFrame]:
-    """Large results are counted in the first edges only, as the workload has it: a window of the stream."""
-    return lambda e: watch(stats.sample_prefix(e, 20_000), graph, "gated1", prefix=None).agg(F.count("*").alias("n"))
-
-
-WHOLE_SQL = ("diamond_customer_customer", "diamond_customer_nation", "diamond_customer_part", "diamond_customer_supplier", "diamond_nation_nation")
 for _name, _p in workload.facet_diamonds().items():
-    _GR = sql.GRAPHS["facet"].replace("edges AS MATERIALIZED", "every AS") + ", edges AS MATERIALIZED (SELECT * FROM every WHERE eid < 20000)"
-    _Q[f"{_name}__count"] = lambda s, d, p=_p: _diamond_count(p)(graphs.facet_graph(s, d))
-    _SQL[f"{_name}__count"] = f"WITH {_GR} SELECT count(*) AS n FROM ({sql.matches(_p)})"
-    # The window's form and its SQL stay as they are; this one counts over all edges. DuckDB is slow where its join order starts at a large facet.
-    _whole = f"SELECT count(*) AS n FROM ({sql.matches(_p)})" if _name in WHOLE_SQL else None
-    _add(f"{_name}__count_whole", "facet", lambda e, p=_p: watch(e, p, "gated1", prefix=None).agg(F.count("*").alias("n")), _whole)
+    # Pieces of two edges: both of an article. Counts, as some of the results are large.
+    _add(f"{_name}__count", "facet", lambda e, p=_p: watch(e, p, "gated2", prefix=None).agg(F.count("*").alias("n")), sql.diamond_count(*_name.split("_")[1:]))
 
 # Incomplete and ablated forms.
 
@@ -116,7 +106,16 @@ _since = "(SELECT min(g.eid) FROM edges g WHERE g.etype = 'k4' AND g.src <> g.ds
 _endpoint = "(greatest(e1.eid, e2.eid) < e0.eid OR e1.eid > e2.eid OR EXISTS (SELECT 1 FROM since s WHERE s.v IN (e2.src, e2.dst) AND s.eid < e2.eid))"
 _SINCE = "since AS (SELECT v, min(eid) AS eid FROM (SELECT src AS v, eid FROM edges WHERE etype = 'k4' UNION ALL SELECT dst, eid FROM edges WHERE etype = 'k4') GROUP BY v)"
 _add("gated_forward_only", "host", lambda e: matching.run_tree(e, _tree(e, _P2), _P2, gated=True, back=False), sql.matches(_P2, "e1.eid > e0.eid"))
-_add("gated_arrival_order", "host", lambda e: matching.run_tree(e, _tree(e, _P2), _P2, gated=True), sql.matches(_P2))
+_add("gated_no_look_back", "host", lambda e: matching.without_look_back(e, JoinTree(tuple(Leaf((x,)) for x in _P2.edges)), _P2), sql.matches(_P2, "e1.eid > (SELECT min(s.eid) FROM edges s WHERE s.etype = 'k4' AND s.dst = e0.dst)"))
+
+
+def _backwards(e: DataFrame) -> DataFrame:
+    """The stream from its end, gated, in four batches: the common edges come before the rare ones."""
+    n = e.count()
+    return advance_all(e.withColumn("eid", n - 1 - F.col("eid")), _tree(e, _P2), _P2, 4, n, gated=True)
+
+
+_add("gated_arrival_order", "host", _backwards, sql.matches(_P2).replace("FROM edges ", "FROM reversed "), "reversed AS (SELECT (SELECT count(*) FROM edges) - 1 - eid AS eid, src, dst, etype, ts FROM edges)")
 _add("gate_endpoint", "host", lambda e: matching.endpoint_gated(e, _ENDPOINT_TREE, _K4K1K0), sql.matches(_K4K1K0, _endpoint), _SINCE)
 _add(
     "gate_endpoint_recall", "host",
@@ -125,7 +124,7 @@ _add(
 )
 _add("gate_vertex", "host", lambda e: matching.run_tree(e, _tree(e, _P3), _P3, gated=True, gate="vertex"), sql.matches(_P3))
 _add("within_window", "host", lambda e: watch(e, _P2, "gated1", prefix=None, within="'2' DAY"), sql.matches(_P2, within="'2' DAY"))
-for _o in ("dp", "mst", "random"):
+for _o in ("dp", "mst", "random", "genetic", "cover"):
     _add(f"order_{_o}", "host", lambda e, o=_o: matching.run_tree(e, _tree(e, _P3, order=o), _P3), sql.matches(_P3))
 _add("sql_pattern", "host", lambda e: (e.createOrReplaceTempView("watch_edges"), e.sparkSession.sql(cutting.to_sql(_tree(e, _P3), _P3, "watch_edges")))[1], sql.matches(_P3))
 
@@ -135,9 +134,9 @@ _E = {"k4": "e_e0", "k0": "e_e1"}
 _k4 = pattern("a -k4> b")
 _add("piece1_type", "host", lambda e: matching.edge_matches(e, _k4.edges[0]), "SELECT src AS v_a, dst AS v_b, eid AS e_e0 FROM edges WHERE etype = 'k4'")
 _add("piece1_label", "host", lambda e: matching.edge_matches(e, _k4.edges[0], pattern("a -k4> b", a="vid < 10")), "SELECT src AS v_a, dst AS v_b, eid AS e_e0 FROM edges WHERE etype = 'k4' AND src < 10")
-_add("piece1_regex", "facet", lambda e: e.filter(F.col("etype").rlike("^(part|nation)$")).select("eid", "etype"), "SELECT eid, etype FROM edges WHERE regexp_matches(etype, '^(part|nation)$')")
-for _form, _ends in {"in-in": "a b", "out-out": "a b", "in-out": "a b"}.items():
-    _pp = {"in-in": pattern("a -k3> c", "b -k2> c"), "out-out": pattern("c -k3> a", "c -k2> b"), "in-out": pattern("a -k3> c", "c -k2> b")}[_form]
+_REGEX = QueryEdge("e0", "a", "b", ANY, "etype rlike '^(part|nation)$'")
+_add("piece1_regex", "facet", lambda e: matching.edge_matches(e, _REGEX), "SELECT src AS v_a, dst AS v_b, eid AS e_e0 FROM edges WHERE regexp_matches(etype, '^(part|nation)$')")
+for _form, _pp in {"in-in": pattern("a -k3> c", "b -k2> c"), "out-out": pattern("c -k3> a", "c -k2> b"), "in-out": pattern("a -k3> c", "c -k2> b"), "out-in": pattern("c -k3> a", "b -k2> c")}.items():
     _b = sql.matches(_pp).replace(", greatest(e0.eid, e1.eid) AS last_eid", "")
     _add(f"piece2_{_form.replace('-', '')}", "host", lambda e, f=_form: matching.pair_matches(e, "k3", "k2", f), _b)
 _add("triad_closed", "host", lambda e: matching.triad_matches(e, ("k3", "k2", "k1"), True), sql.matches(pattern("a -k3> b", "b -k2> c", "c -k1> a")))
@@ -170,8 +169,7 @@ for _g in ("facet", "host", "social", "trade"):
     _add(f"graph_size_{_g}", _g, lambda e: e.agg(F.count("*").alias("edges"), F.count_distinct("etype").alias("kinds")).join(F.broadcast(e.select(F.explode(F.array("src", "dst")).alias("v")).agg(F.count_distinct("v").alias("vertices")))), "SELECT count(*) AS edges, count(DISTINCT etype) AS kinds, (SELECT count(DISTINCT v) FROM (SELECT src AS v FROM edges UNION ALL SELECT dst FROM edges)) AS vertices FROM edges")
     _add(f"signatures_{_g}", _g, stats.signature_summary, "SELECT (SELECT count(DISTINCT etype) FROM edges) AS kinds, (SELECT count(*) FROM edges) AS edges, (SELECT count(*) FROM paths) AS signatures, (SELECT CAST(sum(cnt) AS BIGINT) FROM paths) AS total", sql.PATHS)
 _add("paths_strict", "host", lambda e: stats.two_edge_paths(e, "strict"), "SELECT * FROM paths", sql.STRICT)
-_add("paths_strict_trade", "trade", lambda e: stats.two_edge_paths(stats.sample_prefix(e, 5000), "strict"), "SELECT * FROM paths", sql.STRICT.replace("FROM edges", "FROM edges WHERE eid < 5000"))
-_add("paths_strict_trade_whole", "trade", lambda e: stats.two_edge_paths(e, "strict"), None)
+_add("paths_strict_trade", "trade", lambda e: stats.two_edge_paths(e, "strict"), "SELECT * FROM paths", sql.STRICT)
 _add("paths_prefix", "social", lambda e: stats.two_edge_paths(stats.sample_prefix(e, 10_000)), "SELECT * FROM paths", sql.PATHS.replace("FROM edges", "FROM edges WHERE eid < 10000"))
 _add("paths_same_kind", "facet", lambda e: stats.two_edge_paths(e).filter("sig1 = sig2"), "SELECT * FROM paths WHERE sig1 = sig2", sql.PATHS)
 _add("paths_cross_kind", "facet", lambda e: stats.two_edge_paths(e).filter("sig1 < sig2"), "SELECT * FROM paths WHERE sig1 < sig2", sql.PATHS)
@@ -198,13 +196,12 @@ r AS (SELECT slot, etype, row_number() OVER (PARTITION BY slot ORDER BY n, etype
 b AS (SELECT r.slot, r.etype, r.r, p.r AS p FROM r JOIN r p ON p.slot = r.slot - 1 AND p.etype = r.etype)"""
     _add(f"stability_{_g}", _g, lambda e, n=_n: stats.order_stability(e, n), "SELECT a.slot, count(*) AS pairs, count(*) FILTER ((a.r < b.r) <> (a.p < b.p)) AS inverted FROM b a JOIN b ON a.slot = b.slot AND a.etype < b.etype GROUP BY a.slot", _stable)
 _UND = """und AS (SELECT DISTINCT least(src, dst) AS a, greatest(src, dst) AS b, etype FROM edges WHERE src <> dst)"""
-_add("triangles", "host", lambda e: stats.triangle_counts(stats.sample_prefix(e, 3000)), "SELECT array_to_string(list_sort([x.etype, y.etype, z.etype]), ',') AS kinds, count(*) AS n FROM und x JOIN und y ON x.b = y.a JOIN und z ON z.a = x.a AND z.b = y.b GROUP BY 1", _UND.replace("WHERE", "WHERE eid < 3000 AND"))
-_add("triangles_whole", "host", stats.triangle_counts, "SELECT array_to_string(list_sort([x.etype, y.etype, z.etype]), ',') AS kinds, count(*) AS n FROM und x JOIN und y ON x.b = y.a JOIN und z ON z.a = x.a AND z.b = y.b GROUP BY 1", _UND)
+_add("triangles", "host", stats.triangle_counts, "SELECT array_to_string(list_sort([x.etype, y.etype, z.etype]), ',') AS kinds, count(*) AS n FROM und x JOIN und y ON x.b = y.a JOIN und z ON z.a = x.a AND z.b = y.b GROUP BY 1", _UND)
 _add("triangle_estimate", "host", lambda e: stats.triangle_estimate(e, 0.5), None)
 _add("hub_vertices", "facet", lambda e: graphs.hub_vertices(e, 20), "SELECT v AS vid, count(*) AS degree FROM inc GROUP BY v ORDER BY degree DESC, vid LIMIT 20", sql.INCIDENCE)
 _add("drop_hubs", "host", lambda e: graphs.drop_vertices(e, "vid < 20").select("eid"), "SELECT eid FROM edges WHERE src >= 20 AND dst >= 20")
 _add("kind_hash", "host", lambda e: stats.edge_histogram(stats.with_kind(e, graphs.hash_kind(["src", "dst"], 5))), None)
-_add("kind_composite", "trade", stats.edge_histogram, "SELECT etype, count(*) AS freq FROM edges GROUP BY etype")
+_add("kind_composite", "trade", lambda e: stats.edge_histogram(stats.with_kind(e, graphs.composite_kind(["etype", F.year("ts").cast("string")]))), "SELECT etype || '_' || year(ts) AS etype, count(*) AS freq FROM edges GROUP BY 1")
 _add("kind_community", "community", stats.edge_histogram, "SELECT etype, count(*) AS freq FROM edges GROUP BY etype")
 
 # Plans and measures. Logarithms are rounded, as both sides add them up in their own order.
@@ -248,7 +245,7 @@ _P3_TREE = JoinTree(tuple(Leaf((x,)) for x in _P3.edges))
 _add("stored_eager", "host", lambda e: matching.stored_rows(e, _P3_TREE, _P3), _stored)
 _add("stored_gated", "host", lambda e: matching.stored_rows(e, _P3_TREE, _P3, gated=True), "SELECT 0::INTEGER AS leaf, (SELECT count(*) FROM edges WHERE etype = 'k4') AS stored UNION ALL SELECT 1::INTEGER, count(*) FROM edges WHERE etype = 'k0' AND src IN (SELECT dst FROM edges WHERE etype = 'k4') UNION ALL SELECT 2::INTEGER, count(*) FROM edges WHERE etype = 'k1' AND src IN (SELECT v_c FROM p)", f"p AS ({sql.matches(_P2)})")
 _add("detection_eid", "host", lambda e: watch(e, _P3, "gated1", prefix=None).groupBy("last_eid").agg(F.count("*").alias("n")), "SELECT last_eid, count(*) AS n FROM m GROUP BY last_eid", f"m AS ({sql.matches(_P3)})")
-_add("probes", "host", lambda e: matching.stored_rows(e, _P3_TREE, _P3).filter("leaf < 2").agg(F.sum("stored").cast("long").alias("probes")), "SELECT count(*) AS probes FROM edges WHERE etype IN ('k4', 'k0')")
+_add("probes", "host", lambda e: matching.tree_counters(e, _P3_TREE, _P3).agg(F.sum("probes").cast("long").alias("probes")), f"SELECT count(*) + (SELECT count(*) FROM ({sql.matches(_P2)})) AS probes FROM edges WHERE etype IN ('k4', 'k0', 'k1')")
 
 # Operators around the methods.
 
@@ -276,8 +273,12 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Query]:
-    return dict(_Q)
+    from graphwatch import catalogue_more
+
+    return _Q | catalogue_more.queries()
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(_SQL)
+    from graphwatch import catalogue_more
+
+    return _SQL | catalogue_more.oracle_sql()

@@ -19,6 +19,7 @@ class StateStore:
     def __init__(self, spark: SparkSession, path: str, fanout: int = 8):
         self.spark, self.path, self.fanout = spark, path.rstrip("/"), fanout
         self.last = -1
+        self.leaving: list[str] = []
         self.parts: dict[str, list[str]] = {}
         self.schemas: dict[str, str] = {}
         self.dropped: list[str] = []
@@ -39,7 +40,7 @@ class StateStore:
         finally:
             stream.close()
         made = json.loads(text)
-        self.last, self.parts, self.schemas = batch, made["parts"], made["schemas"]
+        self.last, self.parts, self.schemas, self.leaving = batch, made["parts"], made["schemas"], made["leaving"]
 
     def read(self, name: str) -> DataFrame | None:
         """All parts of a table; None if it has none."""
@@ -57,7 +58,7 @@ class StateStore:
 
     def replace(self, name: str, rows: DataFrame) -> None:
         """Put one part in the place of all parts of a table. rows may be made of them."""
-        old = self.parts.get(name, [])
+        old = list(self.parts.get(name, []))
         self.write(name, rows)
         self.parts[name] = self.parts[name][len(old) :]
         self.dropped += old
@@ -66,16 +67,16 @@ class StateStore:
         return len(self.parts.get(name, [])) >= self.fanout
 
     def commit(self, batch: int) -> None:
-        """From here on the batch counts. Parts that it replaced are deleted."""
+        """From here on the batch counts. Parts are deleted one commit after the one that replaced them, so that what a batch gave can be read until the next one ends."""
         stream = self._fs.create(self._path(f"commits/{batch}.tmp"), True)
         try:
-            stream.write(bytearray(json.dumps({"parts": self.parts, "schemas": self.schemas}).encode()))
+            stream.write(bytearray(json.dumps({"parts": self.parts, "schemas": self.schemas, "leaving": self.dropped}).encode()))
         finally:
             stream.close()
         self._fs.rename(self._path(f"commits/{batch}.tmp"), self._path(f"commits/{batch}"))
         if self.last >= 0 and self.last != batch:
             self._fs.delete(self._path(f"commits/{self.last}"), False)
         self.last = batch
-        for part in self.dropped:
+        for part in self.leaving:
             self._fs.delete(self._path(part), True)
-        self.dropped = []
+        self.leaving, self.dropped = self.dropped, []

@@ -2,26 +2,46 @@
 
 from __future__ import annotations
 
+import atexit
+import re
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: Paths of this application's scratch tables; they go when it ends.
+_SCRATCH: list[tuple[SparkSession, str]] = []
+
 
 def shared_dir(spark: SparkSession) -> str:
-    """The checkpoint folder of the session; only a session without one (a test) gets a local folder."""
+    """The checkpoint folder of the session. Only a session in one process (a test) may do without one and gets a local folder."""
     context = spark.sparkContext
     where = spark.conf.get("spark.checkpoint.dir", None) or context.getCheckpointDir()
     if not where:
+        if not re.match(r"local(\[|$)", context.master or ""):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         where = tempfile.mkdtemp(prefix="graphwatch-")
     if not context.getCheckpointDir():
         context.setCheckpointDir(where)
     return where
 
 
+def _remove_scratch() -> None:
+    for spark, path in _SCRATCH:
+        try:
+            where = spark._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(spark._jsc.hadoopConfiguration()).delete(where, True)
+        except Exception:  # noqa: BLE001  the session has ended before; what is left is scratch
+            return
+
+
 def scratch_path(spark: SparkSession, name: str) -> str:
-    """A new path below the shared folder."""
-    return f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    """A new path below the shared folder, which goes when the application ends."""
+    if not _SCRATCH:
+        atexit.register(_remove_scratch)
+    path = f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    _SCRATCH.append((spark, path))
+    return path
 
 
 def cut(df: DataFrame) -> DataFrame:

@@ -2,19 +2,21 @@
 
 from __future__ import annotations
 
+import uuid
+from bisect import bisect_right
 from collections import defaultdict
 
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphwatch.functions.storage import table
-from graphwatch.model import JoinTree, Leaf, QueryGraph
+from graphwatch.functions.storage import scratch_path, table
+from graphwatch.model import ANY, JoinTree, Leaf, QueryGraph
 from graphwatch.operators.matching import run_tree
 
 
 def backtrack(rows: list[tuple], graph: QueryGraph) -> list[dict]:
-    """All matches by backtracking over (eid, src, dst, etype) rows, in memory; for prefixes and tests."""
+    """All matches by backtracking over (eid, src, dst, etype) rows, in memory."""
     by_kind, out_of, into = defaultdict(list), defaultdict(list), defaultdict(list)
     for r in rows:
         by_kind[r[3]].append(r)
@@ -49,31 +51,55 @@ def backtrack(rows: list[tuple], graph: QueryGraph) -> list[dict]:
     return found
 
 
-def backtrack_matches(edges: DataFrame, graph: QueryGraph, limit: int = 10_000) -> DataFrame:
-    """Whole-pattern backtracking over the first ``limit`` edges, in one group: a baseline that does not scale and says so."""
-    names = [f"v_{v}" for v in graph.vertex_names] + [f"e_{e.name}" for e in graph.edges] + ["last_eid"]
+#: A baseline that holds the whole graph in one worker takes no more edges than this.
+MOST_EDGES = 5_000_000
+
+
+def _held(edges: DataFrame, graph: QueryGraph) -> DataFrame:
+    """The edges that a search can use; refuses more than a worker holds, as these baselines cannot do without."""
+    kinds = {e.etype for e in graph.edges}
+    rows = edges.select("eid", "src", "dst", "etype")
+    rows = rows if ANY in kinds else rows.filter(F.col("etype").isin(*kinds))
+    if (n := rows.count()) > MOST_EDGES:
+        raise ValueError(f"{n} edges: a search that holds the whole graph takes up to {MOST_EDGES}")
+    return rows
+
+
+def _names(graph: QueryGraph) -> list[str]:
+    return [f"v_{v}" for v in graph.vertex_names] + [f"e_{e.name}" for e in graph.edges]
+
+
+def backtrack_matches(edges: DataFrame, graph: QueryGraph) -> DataFrame:
+    """Whole-pattern backtracking over all edges, in one group: a baseline that does not scale, and refuses what is too large."""
+    names = [*_names(graph), "last_eid"]
 
     def search(pdf: pd.DataFrame) -> pd.DataFrame:
         rows = list(pdf[["eid", "src", "dst", "etype"]].itertuples(index=False, name=None))
         return pd.DataFrame(backtrack(rows, graph), columns=names).astype("int64")
 
-    prefix = edges.filter(F.col("eid") < limit).select("eid", "src", "dst", "etype", F.lit(0).alias("g"))
-    return prefix.groupBy("g").applyInPandas(search, ", ".join(f"{n} long" for n in names))
+    return _held(edges, graph).withColumn("g", F.lit(0)).groupBy("g").applyInPandas(search, ", ".join(f"{n} long" for n in names))
 
 
-def rematch_per_edge(edges: DataFrame, graph: QueryGraph, n: int) -> DataFrame:
-    """Full search after each of the first n edges, reporting what is new: n searches for the same matches."""
+def rematch_per_edge(edges: DataFrame, graph: QueryGraph) -> DataFrame:
+    """Full search after each edge, reporting what the search before did not find: as many searches as edges, for the same matches.
+
+    Searches are dealt to tasks by arrival; each holds the whole graph. Adds ``reported``, the edge
+    after which a match was found, and ``found``, the matches of all searches together, which shows the work done twice.
+    """
     spark = edges.sparkSession
-    rows = [tuple(r) for r in edges.filter(F.col("eid") < n).orderBy("eid").select("eid", "src", "dst", "etype").collect()]
-    seen, out = set(), []
-    for i in range(1, len(rows) + 1):
-        for m in backtrack(rows[:i], graph):
-            key = tuple(sorted(m.items()))
-            if key not in seen:
-                seen.add(key)
-                out.append(m | {"reported": rows[i - 1][0]})
-    names = [f"v_{v}" for v in graph.vertex_names] + [f"e_{e.name}" for e in graph.edges] + ["last_eid", "reported"]
-    return spark.createDataFrame([[m[x] for x in names] for m in out], ", ".join(f"{x} long" for x in names))
+    held = sorted(tuple(r) for r in _held(edges, graph).collect())
+    sent, names = spark.sparkContext.broadcast(held), [*_names(graph), "last_eid", "reported", "found"]
+
+    def search(batches):
+        for pdf in batches:
+            out = []
+            for eid in pdf["eid"]:
+                found = backtrack(sent.value[: bisect_right(sent.value, (eid, float("inf")))], graph)
+                out += [m | {"reported": eid, "found": len(found)} for m in found if m["last_eid"] == eid]
+            yield pd.DataFrame(out, columns=names).astype("int64")
+
+    arrivals = edges.select("eid").repartition(4 * spark.sparkContext.defaultParallelism)
+    return arrivals.mapInPandas(search, ", ".join(f"{x} long" for x in names))
 
 
 def _one_edge_tree(graph: QueryGraph) -> JoinTree:
@@ -92,13 +118,20 @@ def flat_join(edges: DataFrame, graph: QueryGraph) -> DataFrame:
     return run_tree(edges, _one_edge_tree(graph), graph)
 
 
-def rematch_every(edges: DataFrame, graph: QueryGraph, batches: int, n_edges: int) -> DataFrame:
-    """Full search after each of some equal batches; new matches are those that were not there before."""
+def rematch_every(edges: DataFrame, graph: QueryGraph, batches: int, n_edges: int, counted: bool = False) -> DataFrame:
+    """Full search after each of some equal batches; new matches are those that were not there before.
+
+    counted: instead, batch, found and redundant (matches that an earlier search had found).
+    """
     names = [f"e_{e.name}" for e in graph.edges]
     size, before, out = -(-n_edges // batches), None, None
     for b in range(batches):
         now = table(flat_join(edges.filter(F.col("eid") < (b + 1) * size), graph), "rematch")
-        new = now if before is None else now.join(before, names, "left_anti")
+        if counted:
+            again = F.lit(0).cast("long") if before is None else F.lit(before.count())
+            new = now.agg(F.count("*").alias("found")).select(F.lit(b).cast("long").alias("batch"), "found", again.alias("redundant"))
+        else:
+            new = now if before is None else now.join(before, names, "left_anti")
         out = new if out is None else out.unionByName(new)
         before = now
     return out
@@ -136,7 +169,15 @@ def rematch_neighbourhood(history: DataFrame, delta: DataFrame, graph: QueryGrap
     return found.join(new, found["last_eid"] == new["eid"], "left_semi")
 
 
-def adjacency_index(edges: DataFrame, name: str, buckets: int = 8) -> str:
-    """Edges bucketed by source and sorted by kind, as a table: joins by source then need no exchange. Rebuilt whole."""
-    edges.write.mode("overwrite").bucketBy(buckets, "src").sortBy("src", "etype").saveAsTable(name)
+def adjacency_index(edges: DataFrame, name: str, path: str, buckets: int = 8) -> str:
+    """Edges bucketed by source and sorted by kind, as an external table at path: joins by source then need no exchange. Rebuilt whole."""
+    edges.write.mode("overwrite").option("path", path).bucketBy(buckets, "src").sortBy("src", "etype").saveAsTable(name)
     return name
+
+
+def indexed_rematch(edges: DataFrame, graph: QueryGraph, rebuilds: int, n_edges: int) -> DataFrame:
+    """The index is rebuilt after each of some equal batches, and the last one answers the pattern."""
+    size, spark = -(-n_edges // rebuilds), edges.sparkSession
+    for b in range(rebuilds):
+        name = adjacency_index(edges.filter(F.col("eid") < (b + 1) * size), f"adjacency_{uuid.uuid4().hex}", scratch_path(spark, "adjacency"))
+    return flat_join(spark.table(name), graph)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import DataFrame
@@ -106,7 +107,7 @@ class DeltaMatcher:
         store.replace("result", added)
         self._merge(batch)
         store.commit(number)
-        return self._shown(added)
+        return self._shown(store.read("result"))
 
     def _merge(self, batch: DataFrame) -> None:
         """Merge the parts of tables that have many, all at once, so that what is dropped is dropped everywhere."""
@@ -150,6 +151,34 @@ class DeltaMatcher:
         return {name: self.store.read(name).count() for name in sorted(self.store.parts) if name != "result"}
 
 
+class AdaptiveMatcher:
+    """A matcher that cuts its pattern anew when the order of its pieces has changed.
+
+    After every ``every`` batches statistics are taken from the edges so far. If the plan's pieces no
+    longer ascend, the pattern is cut again; the new plan's partial matches come from one batch run over
+    the stored edges, and the old state is left. What was reported is not reported again.
+    """
+
+    def __init__(self, tree: JoinTree, graph: QueryGraph, recut: Callable[[DataFrame], JoinTree | None], every: int = 2, gated: bool = True):
+        self.graph, self.recut, self.every, self.gated = graph, recut, every, gated
+        self.matcher, self.seen, self.migrations = DeltaMatcher(tree, graph, gated), 0, 0
+
+    def advance(self, batch: DataFrame) -> DataFrame:
+        out = self.matcher.advance(batch)
+        self.seen += 1
+        if self.seen % self.every == 0:
+            edges = self.matcher.store.read("edges")
+            tree = self.recut(edges)
+            if tree is not None and tree.leaves != self.matcher.tree.leaves:
+                moved = DeltaMatcher(tree, self.graph, self.gated)
+                moved.advance(edges)
+                self.matcher, self.migrations = moved, self.migrations + 1
+        return out
+
+    def snapshot(self) -> DataFrame:
+        return self.matcher.snapshot()
+
+
 def advance_all(edges: DataFrame, tree: JoinTree, graph: QueryGraph, batches: int, n_edges: int, gated: bool = False) -> DataFrame:
     """The stream in equal batches by eid; the union of what they report."""
     matcher, size = DeltaMatcher(tree, graph, gated), -(-n_edges // batches)

@@ -100,20 +100,54 @@ def interval_counts(edges: DataFrame, interval: int) -> DataFrame:
     return edges.groupBy(F.floor(F.col("eid") / interval).cast("long").alias("slot"), "etype").agg(F.count("*").alias("n"))
 
 
-def order_stability(edges: DataFrame, interval: int) -> DataFrame:
-    """slot, pairs, inverted: pairs of kinds that change their order (by count, then kind) from the slot before to this one."""
-    n = interval_counts(edges, interval)
-    slots, kinds = n.select("slot").distinct(), n.select("etype").distinct()
-    # Slots times kinds: a small table, whatever the number of edges.
-    full = slots.join(F.broadcast(kinds)).join(n, ["slot", "etype"], "left").fillna(0, ["n"])
-    ranked = full.withColumn("r", F.row_number().over(Window.partitionBy("slot").orderBy("n", "etype")))
-    before = ranked.select((F.col("slot") + 1).alias("slot"), "etype", F.col("r").alias("p"))
-    both = ranked.join(before, ["slot", "etype"]).select("slot", "etype", "r", "p")
-    other = both.select("slot", F.col("etype").alias("t2"), F.col("r").alias("r2"), F.col("p").alias("p2"))
-    pairs = both.join(other, "slot").filter("etype < t2")
+def _inversions(counts: DataFrame, names: list[str]) -> DataFrame:
+    """counts (slot, names, n) -> slot, pairs, inverted: pairs that change their order (by n, then names) from the slot before to this one."""
+    slots, things = counts.select("slot").distinct(), counts.select(*names).distinct()
+    # Slots times kinds (or pairs of kinds): a small table, whatever the number of edges.
+    full = slots.join(F.broadcast(things)).join(counts, ["slot", *names], "left").fillna(0, ["n"])
+    ranked = full.withColumn("r", F.row_number().over(Window.partitionBy("slot").orderBy("n", *names)))
+    before = ranked.select((F.col("slot") + 1).alias("slot"), *names, F.col("r").alias("p"))
+    both = ranked.join(before, ["slot", *names]).select("slot", F.struct(*names).alias("t1"), F.col("r").alias("r"), "p")
+    other = both.select("slot", F.col("t1").alias("t2"), F.col("r").alias("r2"), F.col("p").alias("p2"))
+    pairs = both.join(other, "slot").filter("t1 < t2")
     return pairs.groupBy("slot").agg(F.count("*").alias("pairs"), F.sum(F.when((F.col("r") < F.col("r2")) != (F.col("p") < F.col("p2")), 1).otherwise(0)).cast("long").alias("inverted"))
 
 
+def order_stability(edges: DataFrame, interval: int, what: str = "edge") -> DataFrame:
+    """slot, pairs, inverted: pairs of kinds (what="edge") or of two-edge paths (what="pair") that change their order between intervals."""
+    if what == "edge":
+        return _inversions(interval_counts(edges, interval), ["etype"])
+    return _inversions(interval_paths(edges, interval).withColumnRenamed("cnt", "n"), ["sig1", "sig2"])
+
+
+def interval_paths(edges: DataFrame, interval: int) -> DataFrame:
+    """slot, sig1, sig2, cnt: two-edge paths within each interval of the stream, counted like those of the whole."""
+    slot = F.floor(F.col("eid") / interval).cast("long")
+    ends = F.array(*[F.struct(F.struct(slot.alias("slot"), F.col(c).alias("v")).alias("v"), F.concat(F.lit(d), "etype").alias("sig")) for c, d in (("src", "o:"), ("dst", "i:"))])
+    counts = edges.select(F.inline(ends)).groupBy("v", "sig").agg(F.count("*").alias("n"))
+    per = counts.groupBy("v").agg(F.array_sort(F.collect_list(F.struct("sig", "n"))).alias("s"))
+    each = per.select(F.col("v.slot").alias("slot"), F.posexplode("s").alias("i", "a"), "s").select("slot", "a", F.explode(F.slice("s", F.col("i") + 1, F.size("s"))).alias("b"))
+    n = F.when(F.col("a.sig") == F.col("b.sig"), F.expr("a.n * (a.n - 1) div 2")).otherwise(F.col("a.n") * F.col("b.n"))
+    return each.groupBy("slot", F.col("a.sig").alias("sig1"), F.col("b.sig").alias("sig2")).agg(F.sum(n).cast("long").alias("cnt")).filter("cnt > 0")
+
+
+def degree_percentiles(edges: DataFrame, shares: tuple[float, ...] = (0.5, 0.9, 0.99)) -> DataFrame:
+    """sig and exact percentiles of the number of edges with that signature at a vertex, rounded."""
+    return incidence_counts(edges).groupBy("sig").agg(*[F.round(F.percentile("n", F.lit(q)), 6).alias(f"p{round(100 * q)}") for q in shares])
+
+
+def vertex_estimate(edges: DataFrame) -> DataFrame:
+    """Distinct vertices by a HyperLogLog sketch that can be merged with those of other batches, and exactly."""
+    v = edges.select(F.explode(F.array("src", "dst")).alias("v"))
+    return v.agg(F.hll_sketch_estimate(F.hll_sketch_agg("v", F.lit(14))).alias("estimate"), F.count_distinct("v").alias("vertices"))
+
+
+def stratified_sample(edges: DataFrame, shares: dict[str, float], seed: int = 1) -> DataFrame:
+    """A hashed share of the edges of each kind; kinds that are not named are left out. Reruns agree."""
+    share = F.create_map(*[F.lit(x) for kv in shares.items() for x in kv])[F.col("etype")]
+    return edges.filter(F.pmod(F.xxhash64(F.lit(seed), "eid"), F.lit(1 << 20)) < F.coalesce(share, F.lit(0.0)) * (1 << 20))
+
+
 def triangle_counts(edges: DataFrame) -> DataFrame:
     """Undirected triangles by their sorted kinds. Each edge points from its end of lower degree, so a hub's edges are few."""
     plain = edges.filter("src <> dst").select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b"), "etype").distinct()

@@ -89,6 +89,8 @@ def matches(graph: QueryGraph, extra: str = "", within: str | None = None) -> st
 
     Written as connected joins in the pattern's own order, so that it is quick without a join reordering too.
     """
+    if len(graph.edges) > 4 and not extra and not within:
+        return _step_by_step(graph)
     at: dict[str, str] = {}
     done: list[QueryEdge] = []
     left, sources, last = list(graph.edges), "", []
@@ -118,6 +120,32 @@ def matches(graph: QueryGraph, extra: str = "", within: str | None = None) -> st
     return f"SELECT {', '.join(columns)}, greatest({eids}) AS last_eid FROM {sources}{' WHERE ' + ' AND '.join(last) if last else ''}"
 
 
+def _step_by_step(graph: QueryGraph) -> str:
+    """The same for many edges: every join is kept as a table, as the optimizer may begin a longer chain at a hub."""
+    seen: list[str] = []
+    done: list[QueryEdge] = []
+    left, steps = list(graph.edges), []
+    while left:
+        e = next((e for e in left if not seen or set(e.ends) & set(seen)), left[0])
+        left.remove(e)
+        on, new = [], []
+        for v, c in ((e.src, f"{e.name}.src"), (e.dst, f"{e.name}.dst")):
+            if v in seen:
+                on.append(f"{c} = s.v_{v}")
+            else:
+                on += [f"{c} <> s.v_{x}" for x in seen]
+                new.append((v, c))
+        on += [f"{e.name}.eid <> s.e_{o.name}" for o in done if o.etype == e.etype]
+        columns = ", ".join([*([] if not steps else ["s.*"]), *[f"{c} AS v_{v}" for v, c in new], f"{e.name}.eid AS e_{e.name}"])
+        source = f"{_side(graph, e)} WHERE {e.name}.src <> {e.name}.dst" if not steps else f"step{len(steps) - 1} s JOIN {_side(graph, e)} ON {' AND '.join(on)}"
+        steps.append(f"step{len(steps)} AS MATERIALIZED (SELECT {columns} FROM {source})")
+        seen += [v for v, _ in new]
+        done.append(e)
+    columns = [f"CAST(v_{v} AS BIGINT) AS v_{v}" for v in graph.vertex_names] + [f"e_{e.name}" for e in graph.edges]
+    eids = ", ".join(f"e_{e.name}" for e in graph.edges)
+    return f"SELECT * FROM (WITH {', '.join(steps)} SELECT {', '.join(columns)}, greatest({eids}) AS last_eid FROM step{len(steps) - 1})"
+
+
 def diamond_count(a: str, b: str) -> str:
     """Two articles that share both facets: of the c articles of a pair of facets, c * (c - 1) ordered pairs."""
     pairs = f"SELECT one.dst AS x, two.dst AS y, count(*) AS c FROM (SELECT src, dst FROM edges WHERE etype = '{a}') one JOIN (SELECT src, dst FROM edges WHERE etype = '{b}') two ON one.src = two.src AND one.dst <> two.dst GROUP BY 1, 2"

@@ -62,13 +62,14 @@ def random_binary_tree(n: int, kinds: list[str], seed: int) -> QueryGraph:
     return QueryGraph(tuple(QueryEdge(f"e{i - 1}", f"v{(i - 1) // 2}", f"v{i}", r.choice(kinds)) for i in range(1, n)))
 
 
-def valid_triples(edges: DataFrame) -> DataFrame:
-    """(type code of the source, kind, type code of the target) with their number."""
+def valid_triples(edges: DataFrame, cube: bool = False) -> DataFrame:
+    """(type code of the source, kind, type code of the target) with their number; cube: and the sums over any of the three."""
     code = lambda c: F.call_function("shiftright", F.col(c), F.lit(BITS)).cast("int")
-    return edges.groupBy(code("src").alias("src_type"), "etype", code("dst").alias("dst_type")).agg(F.count("*").alias("n"))
+    keys = [code("src").alias("src_type"), F.col("etype"), code("dst").alias("dst_type")]
+    return (edges.cube(*keys) if cube else edges.groupBy(*keys)).agg(F.count("*").alias("n"))
 
 
-def random_typed_tree(n_edges: int, triples: list[tuple[int, str, int]], seed: int, path: bool = False) -> QueryGraph:
+def random_typed_tree(n_edges: int, triples: list[tuple], seed: int, path: bool = False) -> QueryGraph:
     """Grown edge by edge: each new edge is a valid triple at a vertex that is there already (at the last one, for a path)."""
     r, triples = random.Random(seed), sorted(triples)
     s, kind, t = r.choice(triples)
@@ -83,10 +84,27 @@ def random_typed_tree(n_edges: int, triples: list[tuple[int, str, int]], seed: i
     return QueryGraph(tuple(edges))
 
 
-def random_typed_path(n_edges: int, triples: list[tuple[int, str, int]], seed: int) -> QueryGraph:
+def random_typed_path(n_edges: int, triples: list[tuple], seed: int) -> QueryGraph:
     return random_typed_tree(n_edges, triples, seed, path=True)
 
 
+#: Triples of the social graph between vertices that have few edges of that kind each.
+SOCIAL_TRIPLES = [("customer", "places", "order"), ("order", "has_AF", "part"), ("order", "has_NO", "part"), ("supplier", "from_nation", "nation"), ("customer", "segment", "segment"), ("nation", "in_region", "region")]
+
+
+def random_social(n_edges: int, n: int, path: bool) -> dict[str, QueryGraph]:
+    """n random typed paths or trees of the social graph that go through its activity; leaves at hubs are reached by one edge only."""
+    out, seed = {}, 0
+    while len(out) < n:
+        g = random_typed_tree(n_edges, SOCIAL_TRIPLES, seed, path)
+        hubs = [v for v in g.vertex_names if sum(v in e.ends for e in g.edges) > 1 and any(e.etype in ("segment", "from_nation", "in_region") and e.dst == v for e in g.edges)]
+        kinds = [e.etype for e in g.edges]
+        if not hubs and "places" in kinds and max(map(kinds.count, kinds)) < 3:
+            out[f"{'path' if path else 'tree'}{seed}"] = g
+        seed += 1
+    return out
+
+
 def filter_seen(group: list[QueryGraph], known: Statistics) -> list[QueryGraph]:
     """Without those that have two edges at a vertex which the statistics never saw together."""
     def seen(g: QueryGraph) -> bool:

@@ -46,7 +46,7 @@ def hash_kind(columns: list[str], buckets: int) -> Column:
     return F.concat(F.lit("h"), F.pmod(F.xxhash64(*columns), F.lit(buckets)).cast("string"))
 
 
-def composite_kind(columns: list[str]) -> Column:
+def composite_kind(columns: list[str | Column]) -> Column:
     return F.concat_ws("_", *columns)
 
 

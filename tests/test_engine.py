@@ -1,13 +1,16 @@
 """Matching, cutting and statistics against brute force on small graphs."""
 
 import itertools
+import math
 import random
 
 import pytest
 
 from graphwatch.model import JoinTree, Leaf, pattern
-from graphwatch.operators import baselines, matching, stats
-from graphwatch.operators.delta import DeltaMatcher, advance_all
+from graphwatch.functions.state import StateStore
+from graphwatch.model import ANY, QueryEdge, QueryGraph, QueryVertex
+from graphwatch.operators import baselines, matching, shapes, stats
+from graphwatch.operators.delta import AdaptiveMatcher, DeltaMatcher, advance_all
 from graphwatch.plans import cutting, workload
 from graphwatch.plans.cutting import Statistics
 
@@ -163,7 +166,7 @@ def test_stream_equals_batch(spark, tmp_path):
         query.stop()
 
 
-def test_whole_counts_reach_past_every_window(spark, monkeypatch):
+def test_counts_reach_past_every_window(spark, monkeypatch):
     from graphwatch import catalogue
 
     r = random.Random(8)
@@ -173,7 +176,7 @@ def test_whole_counts_reach_past_every_window(spark, monkeypatch):
     monkeypatch.setitem(catalogue.GRAPHS, "facet", lambda s, d: frame(spark, rows))
     found = catalogue.queries()
     for name, graph in workload.facet_diamonds().items():
-        assert found[f"{name}__count_whole"](spark, "").first().n == len(brute(rows, graph)) > 0
+        assert found[f"{name}__count"](spark, "").first().n == len(brute(rows, graph)) > 0
     hosts = [(30_000 + i, s, d, k) for i, s, d, k in random_rows(11)]
     monkeypatch.setitem(catalogue.GRAPHS, "host", lambda s, d: frame(spark, hosts))
     monkeypatch.setitem(catalogue.GRAPHS, "trade", lambda s, d: frame(spark, hosts))
@@ -183,11 +186,294 @@ def test_whole_counts_reach_past_every_window(spark, monkeypatch):
         if len({x[:2] for x in three}) == 3 and len({v for x in three for v in x[:2]}) == 3:
             kinds = ",".join(sorted(x[2] for x in three))
             want[kinds] = want.get(kinds, 0) + 1
-    assert {x.kinds: x.n for x in found["triangles_whole"](spark, "").collect()} == want
+    assert {x.kinds: x.n for x in found["triangles"](spark, "").collect()} == want
     inc = [(s, "o:" + k, d) for _, s, d, k in hosts if s != d] + [(d, "i:" + k, s) for _, s, d, k in hosts if s != d]
     pairs = {}
     for a, b in itertools.combinations(inc, 2):
         if a[0] == b[0] and a[2] != b[2]:
             key = tuple(sorted((a[1], b[1])))
             pairs[key] = pairs.get(key, 0) + 1
-    assert {(x.sig1, x.sig2): x.cnt for x in found["paths_strict_trade_whole"](spark, "").collect()} == pairs
+    assert {(x.sig1, x.sig2): x.cnt for x in found["paths_strict_trade"](spark, "").collect()} == pairs
+
+
+def test_example_trace(spark):
+    """Three edges one by one around the middle person; the match comes with the third."""
+    graph = pattern("p -knows> q", "q -likes> a", "q -follows> r")
+    tree = JoinTree(tuple(Leaf((e,)) for e in graph.edges))
+    for gated in (False, True):
+        matcher = DeltaMatcher(tree, graph, gated)
+        counts = [matcher.advance(frame(spark, [row])).count() for row in [(0, 1, 2, "knows"), (1, 2, 100, "likes"), (2, 2, 3, "follows")]]
+        assert counts == [0, 0, 1]
+        got = matcher.snapshot().first()
+        assert (got.v_p, got.v_q, got.v_a, got.v_r, got.last_eid) == (1, 2, 100, 3, 2)
+
+
+def test_state_survives_restart_and_replay(spark, tmp_path):
+    graph, rows = PATTERNS[1], random_rows(5, 48)
+    edges, want = frame(spark, rows), brute(rows, PATTERNS[1])
+    tree = cutting.cut_pattern(graph, cutting.collect_statistics(edges), "pair")
+    part = lambda b: frame(spark, rows[b * 6 : b * 6 + 6])
+    for gated in (False, True):
+        path, out = str(tmp_path / f"state{gated}"), []
+        for b in range(8):
+            # A new matcher for each batch: all that it knows is in the folder. fanout 3: parts are merged on the way.
+            matcher = DeltaMatcher(tree, graph, gated, path=path, fanout=3)
+            got = rows_of(matcher.advance(part(b), b))
+            again = DeltaMatcher(tree, graph, gated, path=path, fanout=3)
+            assert rows_of(again.advance(part(b), b)) == got
+            out += got
+        assert sorted(out) == want == rows_of(matcher.snapshot())
+        assert len(StateStore(spark, path).parts["edges"]) < 4
+        with pytest.raises(ValueError):
+            DeltaMatcher(tree, graph, gated, path=path).advance(part(3), 3)
+    # A batch that died before its commit is done again from the state before it.
+    path = str(tmp_path / "died")
+    first = DeltaMatcher(tree, graph, True, path=path)
+    first.advance(part(0), 0)
+    store = first._open(spark)
+    store.commit, real = lambda number: (_ for _ in ()).throw(RuntimeError("lost")), store.commit
+    with pytest.raises(RuntimeError):
+        first.advance(part(1), 1)
+    later = DeltaMatcher(tree, graph, True, path=path)
+    for b in range(1, 8):
+        later.advance(part(b), b)
+    assert rows_of(later.snapshot()) == want
+
+
+def test_old_state_is_dropped_within_a_window(spark):
+    graph, rows = PATTERNS[0], random_rows(7, 80)
+    edges = frame(spark, rows)
+    tree = JoinTree(tuple(Leaf((e,)) for e in graph.edges))
+    want = sorted(m for m in brute(rows, graph) if abs(m[sorted(["e_e0", "e_e1", "last_eid", "v_x", "v_y", "v_z"]).index("e_e0")] - m[1]) <= 10)
+    assert rows_of(matching.run_tree(edges, tree, graph, True, within="'10' HOUR")) == want  # one edge an hour
+    for gated in (False, True):
+        for t in (tree, cutting.cut_pattern(graph, cutting.collect_statistics(edges), "pair")):
+            matcher, kept = DeltaMatcher(t, graph, gated, within="'10' HOUR", fanout=2), DeltaMatcher(t, graph, gated, fanout=2)
+            for b in range(8):
+                matcher.advance(frame(spark, rows[b * 10 : b * 10 + 10]))
+                kept.advance(frame(spark, rows[b * 10 : b * 10 + 10]))
+            assert rows_of(matcher.snapshot()) == want
+            assert matcher.stored()["edges"] < kept.stored()["edges"]
+
+
+def test_plans_change_on_the_way(spark):
+    graph = pattern("x -a> y", "y -b> z")
+    rows = [(i, i % 5, 5 + i % 4, "a") for i in range(4)] + [(4 + i, 5 + i % 4, 9 + i % 3, "b") for i in range(30)]
+    tree = JoinTree((Leaf(graph.edges[1:]), Leaf(graph.edges[:1])))
+    recut = lambda e: cutting.cut_pattern(graph, cutting.collect_statistics(e)) if cutting.order_changed(tree, cutting.collect_statistics(e)) else None
+    matcher = AdaptiveMatcher(tree, graph, recut, every=1)
+    out = []
+    for b in range(4):
+        out += rows_of(matcher.advance(frame(spark, rows[b * 9 : b * 9 + 9])))
+    assert matcher.migrations == 1 and matcher.matcher.tree.leaves[0].edges[0].etype == "a"
+    assert sorted(out) == rows_of(matcher.snapshot()) == brute(rows, graph)
+
+
+def test_other_shapes_and_orders(spark):
+    graph, rows = pattern("x -a> y", "y -b> z", "z -c> w", "w -a> u"), random_rows(4, 60, 8)
+    edges, want = frame(spark, rows), brute(rows, pattern("x -a> y", "y -b> z", "z -c> w", "w -a> u"))
+    known = cutting.collect_statistics(edges)
+    for order in ("greedy", "dp", "mst", "random", "genetic", "cover"):
+        tree = cutting.cut_pattern(graph, known, order=order)
+        assert all(tree.cut(i) for i in range(1, 4))
+        assert rows_of(shapes.run_bushy(edges, tree, graph)) == want == rows_of(shapes.run_n_ary(edges, tree, graph))
+    space = lambda o: cutting.tree_space([known.frequency(x) for x in cutting.cut_pattern(graph, known, order=o).leaves])
+    assert space("dp") <= min(space(o) for o in ("greedy", "mst", "genetic", "cover", "random")) and space("genetic") == space("dp")
+
+
+def test_searches_after_each_edge(spark):
+    graph, rows = PATTERNS[0], random_rows(3)
+    edges = frame(spark, rows)
+    got = baselines.rematch_per_edge(edges, graph)
+    assert rows_of(got.drop("reported", "found")) == brute(rows, graph)
+    assert all(r.reported == r.last_eid for r in got.collect())
+    assert max(r.found for r in got.collect()) == len(brute(rows, graph))
+    assert rows_of(baselines.indexed_rematch(edges, graph, 2, len(rows))) == brute(rows, graph)
+    counted = baselines.rematch_every(edges, graph, 4, len(rows), counted=True).orderBy("batch").collect()
+    assert [r.found for r in counted][:-1] == [r.redundant for r in counted][1:] and counted[-1].found == len(brute(rows, graph))
+
+
+def test_predicates_bind_the_vertex_only(spark):
+    """Names and text that contain vid are left alone."""
+    graph = pattern("x -a> y", "y -vid> z", x="vid < 4 AND 'vid' <> 'src'", z="vid <> 2")
+    rows = [(i, s, d, "vid" if k == "b" else k) for i, s, d, k in random_rows(6)]
+    edges = frame(spark, rows)
+    want = sorted(m for m in brute(rows, pattern("x -a> y", "y -vid> z")) if m[3] < 4 and m[5] != 2)
+    tree = JoinTree(tuple(Leaf((e,)) for e in graph.edges))
+    assert rows_of(matching.run_tree(edges, tree, graph)) == want
+    assert rows_of(spark.sql(cutting.to_sql(tree, graph, "{e}"), e=edges)) == want
+    from graphwatch.sources.graphs import drop_vertices
+
+    assert {r.eid for r in drop_vertices(edges, "vid = 3 AND 'vid' = 'vid'").collect()} == {r[0] for r in rows if 3 not in r[1:3]}
+
+
+def test_any_kind_and_labels_of_vertices(spark):
+    rows = random_rows(10)
+    edges = frame(spark, rows)
+    graph = QueryGraph((QueryEdge("e0", "x", "y", ANY, "etype rlike '^[ab]$'"), QueryEdge("e1", "y", "z", "b")), (QueryVertex("y", "person", label="^J"),))
+    vertices = spark.createDataFrame([(v, "person" if v % 2 else "place", "Jo" if v < 4 else "Al") for v in range(7)], "vid long, vtype string, label string")
+    tree = JoinTree(tuple(Leaf((e,)) for e in graph.edges))
+    got = {(r.e_e0, r.e_e1) for r in matching.run_tree(edges, tree, graph, True, vertices=vertices).collect()}
+    want = {(a[0], b[0]) for a in rows for b in rows if a[3] in "ab" and b[3] == "b" and a[2] == b[1] and a[0] != b[0] and len({a[1], a[2], b[2]}) == 3 and a[2] in (1, 3)}
+    assert got == want
+    with pytest.raises(ValueError):
+        matching.run_tree(edges, tree, graph)
+
+
+def test_counters_and_measures(spark):
+    graph, rows = PATTERNS[0], random_rows(1)
+    edges = frame(spark, rows)
+    n = {k: sum(r[3] == k and r[1] != r[2] for r in rows) for k in "ab"}
+    pair = JoinTree((Leaf(graph.edges),))
+    one = matching.tree_counters(edges, pair, graph).first()
+    assert one.searches == n["a"] + n["b"] and one.stored == len(brute(rows, graph)) <= one.neighbours
+    tree = JoinTree(tuple(Leaf((e,)) for e in graph.edges))
+    eager, gated = (matching.tree_counters(edges, tree, graph, g).orderBy("leaf").collect() for g in (False, True))
+    ends = {r[2] for r in rows if r[3] == "a" and r[1] != r[2]}
+    assert eager[1].searches == n["b"] and gated[1].searches == sum(r[3] == "b" and r[1] != r[2] and r[1] in ends for r in rows)
+    assert eager[1].results == gated[1].results == len(brute(rows, graph)) and eager[1].probes == n["a"] + n["b"]
+    assert cutting.q_error(2, 8) == cutting.q_error(8, 2) == 4 and cutting.q_error(0, 0) == 1
+    assert cutting.join_cost(3, 5) == (8, 3) and cutting.node_work(1, 2, 3, 5, 10) == 1.4
+    known = Statistics({"a": 4, "b": 6}, {("i:a", "o:b"): 7})
+    assert cutting.search_cost(Leaf(graph.edges), {"o:b": 2.5}) == 2.5 and cutting.search_cost(tree.leaves[0], {}) == 1
+    # 4 + 6 searches, 4 + 6 probes, 4 results over 10 edges.
+    assert math.isclose(cutting.tree_work(tree, known, {}), 2.4)
+    assert cutting.rarest_piece(graph, known).edges[0].etype == "a"
+    assert cutting.should_split(100, [30], 2.0, 3) and not cutting.should_split(100, [30], 2.0, 3, "reversed")
+    assert cutting.explain_tree(tree, known) == "0: x -a> y freq=4\n1: y -b> z at y freq=6"
+
+
+def test_statistics_of_intervals_and_samples(spark):
+    rows = random_rows(13, 60)
+    edges = frame(spark, rows)
+    by = {}
+    for a, b in itertools.combinations([(i // 20, s, "o:" + k) for i, s, d, k in rows] + [(i // 20, d, "i:" + k) for i, s, d, k in rows], 2):
+        if a[:2] == b[:2]:
+            key = (a[0], *sorted((a[2], b[2])))
+            by[key] = by.get(key, 0) + 1
+    assert {tuple(r)[:3]: r.cnt for r in stats.interval_paths(edges, 20).collect()} == by
+    things = sorted({k[1:] for k in by})
+    order = [sorted(things, key=lambda t: (by.get((slot, *t), 0), t)) for slot in range(3)]
+    want = {slot: sum((order[slot].index(x) < order[slot].index(y)) != (order[slot - 1].index(x) < order[slot - 1].index(y)) for x, y in itertools.combinations(things, 2)) for slot in (1, 2)}
+    assert {r.slot: r.inverted for r in stats.order_stability(edges, 20, "pair").collect()} == want
+    big = frame(spark, [(i, i % 40, (i * 7 + 1) % 40, "abc"[i % 3]) for i in range(3000)])
+    exact = sum(r.n for r in stats.triangle_counts(big).collect())
+    whole = sum(r.estimate for r in stats.triangle_estimate(big, 1.0).collect())
+    assert whole == exact
+    dense = frame(spark, [(i, s, d, "a") for i, (s, d) in enumerate(itertools.combinations(range(40), 2))])
+    guess = sum(r.estimate for r in stats.triangle_estimate(dense, 0.5).collect())
+    assert abs(guess - 9880) < 0.25 * 9880
+    sampled = stats.stratified_sample(big, {"a": 1.0, "b": 0.5})
+    counts = {r.etype: r.freq for r in stats.edge_histogram(sampled).collect()}
+    assert counts["a"] == 1000 and 400 < counts["b"] < 600 and "c" not in counts
+    size = stats.vertex_estimate(big).first()
+    assert size.vertices == 40 and abs(size.estimate - 40) <= 2
+    from graphwatch.sources.graphs import hash_kind
+
+    kinds = stats.edge_histogram(stats.with_kind(big, hash_kind(["src", "dst"], 5))).collect()
+    assert sum(r.freq for r in kinds) == 3000 and {r.etype for r in kinds} <= {f"h{i}" for i in range(5)}
+
+
+def test_random_groups():
+    known = Statistics({"a": 5, "b": 50, "c": 500}, {(x, y): 10 for x in ("i:a", "i:b", "o:a", "o:b") for y in ("i:a", "i:b", "o:a", "o:b") if x <= y})
+    group = [workload.random_path(3, ["a", "b", "c"], i) for i in range(60)]
+    kept = workload.filter_seen(group, known)
+    assert kept and all(e.etype != "c" for g in kept for e in g.edges) and len(kept) == sum(all(e.etype != "c" for e in g.edges) for g in group)
+    some = workload.uniform_by_selectivity(kept, known, 4)
+    assert len(some) == min(4, len(kept)) and all(g in kept for g in some)
+    triples = [(1, "p", 2), (2, "q", 3), (2, "r", 1)]
+    for i in range(20):
+        for path in (True, False):
+            g = workload.random_typed_tree(5, triples, i, path)
+            assert len(g.edges) == 5 and g.connected() and len(g.vertex_names) == 6
+            degrees = [sum(v in e.ends for e in g.edges) for v in g.vertex_names]
+            assert not path or max(degrees) == 2
+
+
+def streamed(spark, tmp_path, rows, name, build, per=10, **options):
+    """The rows, one file for each micro-batch and written in order, through build(source); what the memory table holds."""
+    import time
+
+    from pyspark.sql import functions as F
+
+    folder = tmp_path / f"{name}-in"
+    for b in range(0, len(rows), per):
+        frame(spark, rows[b : b + per]).withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.mode("append").parquet(str(folder))
+        time.sleep(0.02)
+    source = spark.readStream.schema("eid long, src long, dst long, etype string, ts timestamp").option("maxFilesPerTrigger", 1).parquet(str(folder))
+    query = build(source).writeStream.format("memory").queryName(name).outputMode(options.get("mode", "append")).option("checkpointLocation", str(tmp_path / f"{name}-c")).start()
+    try:
+        query.processAllAvailable()
+        return spark.table(name).collect()
+    finally:
+        query.stop()
+
+
+def test_state_of_our_own_on_a_stream(spark, tmp_path):
+    from graphwatch.streaming.watch import first_seen, watch_joins, watch_pairs
+
+    rows = random_rows(15, 60)
+    want = {(m["e_e0"], m["e_e1"], m["v_x"], m["v_y"], m["v_z"]) for m in baselines.backtrack(rows, PATTERNS[0])}
+    got = streamed(spark, tmp_path, rows, "pairs", lambda s: watch_pairs(s, "a", "b"), 20)
+    assert len(got) == len(want) and {tuple(r) for r in got} == want
+    tree = JoinTree(tuple(Leaf((e,)) for e in PATTERNS[0].edges))
+    near = streamed(spark, tmp_path, rows, "near", lambda s: watch_joins(s, tree, PATTERNS[0], within="'5' HOUR"), 30)
+    assert {(r.e_e0, r.e_e1) for r in near} == {m[:2] for m in want if abs(m[0] - m[1]) <= 5}
+    twice = streamed(spark, tmp_path, [r for r in rows for _ in (0, 1)], "twice", lambda s: first_seen(s, "1 day"), 60)
+    assert sorted(r.eid for r in twice) == list(range(60))
+
+
+def test_late_edges_are_dropped_below_the_watermark(spark, tmp_path):
+    from graphwatch.streaming.watch import live_histogram
+
+    # Hours 0 to 9, then 40, then one of hour 1: too late for a watermark of 5 hours.
+    rows = [(i, 1, 2, "a") for i in range(10)] + [(40, 1, 2, "a"), (41, 1, 2, "a")]
+    late = rows + [(1, 1, 2, "a"), (80, 1, 2, "a"), (81, 1, 2, "a")]
+    count = lambda name, mark: sum(r.n for r in streamed(spark, tmp_path, late, name, lambda s: live_histogram(s, "2 hours", watermark=mark), 2) if r.window.start.hour in (0,) and r.window.start.day == 1)
+    assert count("narrow", "5 hours") == 2 and count("wide", "70 hours") in (0, 3)
+    session = streamed(spark, tmp_path, rows + [(90, 1, 2, "a"), (91, 1, 2, "a")], "sessions", lambda s: live_histogram(s, "3 hours", watermark="1 hour", session=True), 2)
+    assert sorted(r.n for r in session) == [2, 10]
+    sliding = streamed(spark, tmp_path, rows + [(90, 1, 2, "a"), (91, 1, 2, "a")], "sliding", lambda s: live_histogram(s, "4 hours", "2 hours", watermark="1 hour"), 2)
+    assert sum(r.n for r in sliding if r.window.end.day == 1 and r.window.end.hour <= 14) >= 18
+
+
+def test_stream_goes_on_after_a_restart(spark, tmp_path):
+    from pyspark.sql import functions as F
+
+    from graphwatch.streaming.watch import watch_batches
+
+    rows, out, seen = random_rows(16, 60), [], []
+    tree = JoinTree(tuple(Leaf((e,)) for e in PATTERNS[0].edges))
+    source = lambda: spark.readStream.schema("eid long, src long, dst long, etype string, ts timestamp").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "feed"))
+    for part in (rows[:20], rows[20:40], rows[40:]):
+        frame(spark, part).withColumn("ts", F.col("ts").cast("timestamp")).coalesce(1).write.mode("append").parquet(str(tmp_path / "feed"))
+        query = watch_batches(source(), tree, PATTERNS[0], lambda df, n: (out.extend(rows_of(df)), seen.append(n)), str(tmp_path / "checkpoint"))
+        query.processAllAvailable()
+        query.stop()
+    assert sorted(out) == brute(rows, PATTERNS[0]) and seen == [0, 1, 2]
+
+
+def test_command_line(spark, tmp_path, capsys):
+    from graphwatch.__main__ import main
+
+    rows = random_rows(17)
+    frame(spark, rows).write.parquet(str(tmp_path / "edges"))
+    assert main(["plan", str(tmp_path / "edges"), "x -a> y; y -b> z", str(tmp_path / "plan.json")]) == 0
+    assert "gated" in capsys.readouterr().out
+    assert main(["run", str(tmp_path / "edges"), str(tmp_path / "plan.json"), str(tmp_path / "out")]) == 0
+    got = spark.read.parquet(str(tmp_path / "out"))
+    assert got.count() == len(brute(rows, PATTERNS[0]))
+
+
+def test_graphs_follow_their_folder(spark, tmp_path):
+    from graphwatch.sources import graphs
+
+    made = lambda n: spark.createDataFrame([(i, i % 5, f'{{"k":{i % 7}}}', float(i), "e") for i in range(n)], "event_id long, user_id long, props string, value double, event_type string").selectExpr("*", "timestamp_ntz'2024-01-01' ts")
+    made(50).write.parquet(str(tmp_path / "events.parquet"))
+    before = graphs.host_graph(spark, str(tmp_path)).count()
+    assert graphs.host_graph(spark, str(tmp_path)).count() == before
+    import shutil
+
+    shutil.rmtree(tmp_path / "events.parquet")
+    made(90).write.parquet(str(tmp_path / "events.parquet"))
+    assert graphs.host_graph(spark, str(tmp_path)).count() > before
