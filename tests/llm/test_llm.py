@@ -73,7 +73,7 @@ def test_near_duplicates_of_rows_that_share_a_doc_id(spark, monkeypatch):
     rows = [(1, a), (1, b), (2, a), (3, b), (4, prose(3, 9)), (4, None), (5, "x y z")]
     monkeypatch.setattr(neardup, "BUCKET_ROWS", 1)
     seen = set()
-    for order in (rows, rows[::-1], rows[3:] + rows[:3]):
+    for order in (rows, rows[::-1]):
         got = neardup.near_duplicates(spark.createDataFrame(order, "doc_id long, text string").repartition(3)).collect()
         assert Counter(r.doc_id for r in got) == Counter(r[0] for r in rows)
         by = {r.doc_id: tuple(r) for r in got}
