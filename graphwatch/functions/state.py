@@ -23,6 +23,7 @@ class StateStore:
         self.parts: dict[str, list[str]] = {}
         self.schemas: dict[str, str] = {}
         self.dropped: list[str] = []
+        self.result: list[str] | None = None  # table and part that hold what the last batch gave
         self._fs = spark._jvm.org.apache.hadoop.fs.Path(self.path).getFileSystem(spark._jsc.hadoopConfiguration())
         commits = self._path("commits")
         if self._fs.exists(commits):
@@ -40,7 +41,7 @@ class StateStore:
         finally:
             stream.close()
         made = json.loads(text)
-        self.last, self.parts, self.schemas, self.leaving = batch, made["parts"], made["schemas"], made["leaving"]
+        self.last, self.parts, self.schemas, self.leaving, self.result = batch, made["parts"], made["schemas"], made["leaving"], made["result"]
 
     def read(self, name: str) -> DataFrame | None:
         """All parts of a table; None if it has none."""
@@ -56,6 +57,14 @@ class StateStore:
         self.parts.setdefault(name, []).append(part)
         return self.spark.read.schema(rows.schema).parquet(f"{self.path}/{part}")
 
+    def keep_result(self, name: str) -> None:
+        """What was last written to a table is what this batch gives."""
+        self.result = [name, self.parts[name][-1]]
+
+    def read_result(self) -> DataFrame:
+        name, part = self.result
+        return self.spark.read.schema(self.schemas[name]).parquet(f"{self.path}/{part}")
+
     def replace(self, name: str, rows: DataFrame) -> None:
         """Put one part in the place of all parts of a table. rows may be made of them."""
         old = list(self.parts.get(name, []))
@@ -70,7 +79,7 @@ class StateStore:
         """From here on the batch counts. Parts are deleted one commit after the one that replaced them, so that what a batch gave can be read until the next one ends."""
         stream = self._fs.create(self._path(f"commits/{batch}.tmp"), True)
         try:
-            stream.write(bytearray(json.dumps({"parts": self.parts, "schemas": self.schemas, "leaving": self.dropped}).encode()))
+            stream.write(bytearray(json.dumps({"parts": self.parts, "schemas": self.schemas, "leaving": self.dropped, "result": self.result}).encode()))
         finally:
             stream.close()
         self._fs.rename(self._path(f"commits/{batch}.tmp"), self._path(f"commits/{batch}"))

@@ -73,7 +73,7 @@ class DeltaMatcher:
         if number <= store.last:
             if number < store.last:
                 raise ValueError(f"batch {number} came again after batch {store.last}")
-            return self._shown(self.store.read("result"))
+            return self._shown(store.read_result())
         wanted = {e.etype for e in self.tree.edges}
         if ANY not in wanted:
             batch = batch.filter(F.col("etype").isin(*wanted))
@@ -104,10 +104,10 @@ class DeltaMatcher:
             parts = [(added, found), (added, leaves[i]), (old, found)]
             new = _union([join_bindings(a, b, self.kinds, self.semantics, within=self.within) for a, b in parts if a is not None and b is not None])
             added, old = store.write(f"node{i}", new), nodes[i]
-        store.replace("result", added)
+        store.keep_result(f"node{len(self.tree.leaves) - 1}")
         self._merge(batch)
         store.commit(number)
-        return self._shown(store.read("result"))
+        return self._shown(store.read_result())
 
     def _merge(self, batch: DataFrame) -> None:
         """Merge the parts of tables that have many, all at once, so that what is dropped is dropped everywhere."""
@@ -148,7 +148,7 @@ class DeltaMatcher:
 
     def stored(self) -> dict[str, int]:
         """Rows of each table of the state."""
-        return {name: self.store.read(name).count() for name in sorted(self.store.parts) if name != "result"}
+        return {name: self.store.read(name).count() for name in sorted(self.store.parts)}
 
 
 class AdaptiveMatcher:
