@@ -38,7 +38,7 @@ WRITER = {
 }
 _SCHEMA = "shard int, doc_id long, n_tokens int, local_start long, tokens array<int>"
 #: Distinct words of which a worker keeps the ids; then it starts anew. Only speed depends on it.
-CACHE_WORDS = 250_000
+CACHE_WORDS = 450_000
 #: Letters and marks on which all Unicode versions agree, so that a word of these alone is normalised here.
 _PLAIN = re.compile(r"[!-~À-ÖØ-öø-ÿ]+")
 _PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|[0-9]|(?:[^\s\w]|_)+")
