@@ -22,7 +22,6 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from graphwatch.functions.storage import scratch_path
-from graphwatch.llm.workers import trimmed
 
 END_ID = 1
 #: Parquet writer settings: rows sorted by doc_id, row groups of 32 MB, pages of 64 KB.
@@ -38,9 +37,11 @@ WRITER = {
 }
 _SCHEMA = "shard int, doc_id long, n_tokens int, local_start long, tokens array<int>"
 #: Distinct words of which a worker keeps the ids; then it starts anew. Only speed depends on it.
-CACHE_WORDS = 450_000
+CACHE_WORDS = 600_000
 #: Letters and marks on which all Unicode versions agree, so that a word of these alone is normalised here.
 _PLAIN = re.compile(r"[!-~À-ÖØ-öø-ÿ]+")
+#: Marks that often end a word.
+_ENDS = frozenset(".,;:!?")
 _PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|[0-9]|(?:[^\s\w]|_)+")
 
 
@@ -90,7 +91,11 @@ class WordIds(dict):
 
     def __missing__(self, word: bytes) -> bytes:
         text = word.decode()
-        if self.short and _PLAIN.fullmatch(text) and not ("<" in text and any(s in text for s in self.special)):
+        letters = text[:-1] if text[-1:] in _ENDS else text
+        if self.short and letters.isascii() and letters.isalpha():
+            # Most words: letters, and perhaps one mark at the end; nothing to normalise or to split.
+            got = self._piece(letters.lower()) + (self._piece(text[-1]) if letters is not text else b"")
+        elif self.short and _PLAIN.fullmatch(text) and not ("<" in text and any(s in text for s in self.special)):
             got = b"".join(map(self._piece, _PIECE.findall(unicodedata.normalize("NFC", text).lower())))
         else:
             got = self._whole(text)
@@ -137,14 +142,14 @@ def encode_documents(docs: DataFrame, tokenizer: str, text: str = "text", doc_id
                 names.append(name.as_py()), starts.append(start), parts.append(got)
                 start += len(got) // 4
                 size += len(got)
-                if size > 4 << 20:
+                if size > 8 << 20:
                     yield made()
                     names, starts, parts, size = [], [], [], 0
         if parts:
             yield made()
 
     rows = docs.select(docs[doc_id].alias("doc_id"), docs[text].alias("text"))
-    return rows.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text").mapInArrow(trimmed(encode), _SCHEMA)
+    return rows.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text").mapInArrow(encode, _SCHEMA)
 
 
 def write_tokens(docs: DataFrame, path: str, tokenizer: str, **names) -> None:
@@ -166,7 +171,7 @@ def token_digest(tokens: DataFrame) -> DataFrame:
             sums = [zlib.crc32(flat[a:b]) for a, b in zip(offsets[:-1], offsets[1:], strict=True)]
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(4)), pa.array(sums, pa.int64())], ["shard", "doc_id", "n_tokens", "local_start", "ids_crc32"])
 
-    each = tokens.mapInArrow(trimmed(digest), "shard int, doc_id long, n_tokens int, local_start long, ids_crc32 long")
+    each = tokens.mapInArrow(digest, "shard int, doc_id long, n_tokens int, local_start long, ids_crc32 long")
     # One row for each shard: the window sees as many rows as there are files.
     shards = tokens.groupBy("shard").agg(F.sum("n_tokens").alias("_n"))
     before = Window.partitionBy(F.lit(0)).orderBy("shard").rowsBetween(Window.unboundedPreceding, -1)
