@@ -475,3 +475,51 @@ def test_graphs_follow_their_folder(spark, tmp_path):
     shutil.rmtree(tmp_path / "events.parquet")
     made(90).write.parquet(str(tmp_path / "events.parquet"))
     assert graphs.host_graph(spark, str(tmp_path)).count() > before
+
+
+@pytest.mark.parametrize("name", ["back_search", "bushy_host_path4", "cartesian_small", "community_path4m__auto", "counters_eager1", "counters_eager2", "counters_gated1", "counters_gated2", "cumulative_edges", "detection_eid", "diamond_customer_customer__count", "diamond_customer_part__eager1"])
+def test_each_query_reads_its_tables(spark, tmp_path, name):
+    """A second run in one session scans the tables again: what another query made is not its input."""
+    from datetime import datetime, timedelta
+
+    from graphwatch import catalogue
+
+    when = lambda i: datetime(2024, 1, 1) + timedelta(hours=i)
+    tables = {
+        "events": ([(i, i % 9, f'{{"k":{i % 7}}}', 61.0 * (i % 7), "e", when(i)) for i in range(60)], "event_id long, user_id long, props string, value double, event_type string, ts timestamp_ntz"),
+        "orders": ([(i, i % 3, when(i)) for i in range(12)], "o_orderkey long, o_custkey long, o_orderdate timestamp_ntz"),
+        "lineitem": ([(i % 12, i % 5, i % 4) for i in range(30)], "l_orderkey long, l_partkey long, l_suppkey long"),
+        "customer": ([(i, i % 2) for i in range(3)], "c_custkey long, c_nationkey int"),
+    }
+    for table, (rows, schema) in tables.items():
+        spark.createDataFrame(rows, schema).write.parquet(str(tmp_path / f"{table}.parquet"))
+
+    def records():
+        each = spark._jsc.sc().statusStore().stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), spark._jvm.java.util.ArrayList())
+        return {each.apply(i).stageId(): each.apply(i).inputRecords() for i in range(each.size())}
+
+    query, read = catalogue.queries()[name], []
+    for _ in range(2):
+        before = records()
+        query(spark, str(tmp_path)).collect()
+        read.append(sum(n for k, n in records().items() if k not in before))
+    assert read[0] == read[1] >= (30 if name.startswith("diamond") else 60)
+
+
+def test_a_stored_graph_goes_with_its_query(spark, tmp_path):
+    from graphwatch.functions import storage
+    from pathlib import Path
+
+    def path():
+        return Path(storage._PASSING[-1][2].removeprefix("file:"))
+
+    one = storage.passing_table(spark.range(9), "one")
+    first, kept = path(), one.filter("id > 3")
+    two = storage.passing_table(spark.range(5), "two")
+    second = path()
+    del one, two
+    for _ in range(20):
+        storage.passing_table(spark.range(5), "three")
+        if not second.exists():
+            break
+    assert first.exists() and not second.exists() and kept.count() == 5
