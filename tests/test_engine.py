@@ -523,3 +523,19 @@ def test_a_stored_graph_goes_with_its_query(spark, tmp_path):
         if not second.exists():
             break
     assert first.exists() and not second.exists() and kept.count() == 5
+
+
+def test_counts_do_not_list_the_pairs_of_a_hub(spark):
+    """6,000 articles of one nation: 36 million pairs of articles, and no match. Pieces of other shapes are counted like listed ones."""
+    from graphwatch.operators.matching import count_matches, run_tree
+
+    one = pattern("a -n> x", "a -n> y", "b -n> x", "b -n> y")
+    tree = JoinTree((Leaf(one.edges[:2]), Leaf(one.edges[2:])))
+    hub = spark.range(6000).selectExpr("id eid", "id + 10 src", "1L dst", "'n' etype", "timestamp_ntz'2024-01-01' ts")
+    before = spark._jsc.sc().statusStore().executorList(False).apply(0).totalShuffleWrite()
+    assert count_matches(hub, tree, one).first().n == 0
+    assert spark._jsc.sc().statusStore().executorList(False).apply(0).totalShuffleWrite() - before < 1_000_000
+    for seed, text in enumerate((("a -a> x", "a -b> y", "b -a> x", "b -b> y"), ("a -a> x", "y -b> a", "x -c> b", "b -a> y"), ("a -a> x", "a -a> y", "b -a> x", "b -a> y"))):
+        graph, edges = pattern(*text), frame(spark, random_rows(seed, 60))
+        tree = JoinTree((Leaf(graph.edges[:2]), Leaf(graph.edges[2:])))
+        assert count_matches(edges, tree, graph).first().n == run_tree(edges, tree, graph).count() > 0
