@@ -539,3 +539,17 @@ def test_counts_do_not_list_the_pairs_of_a_hub(spark):
         graph, edges = pattern(*text), frame(spark, random_rows(seed, 60))
         tree = JoinTree((Leaf(graph.edges[:2]), Leaf(graph.edges[2:])))
         assert count_matches(edges, tree, graph).first().n == run_tree(edges, tree, graph).count() > 0
+
+
+def test_searches_after_each_edge_do_not_grow_with_the_stream(spark):
+    """Some 20,000 edges, each followed by a search; a pattern with a kind twice and a cycle; found is what a full search finds then."""
+    import time
+
+    rows = random_rows(5, 20_000, 3_000, "abcd")
+    began, graph = time.time(), PATTERNS[1]
+    got = baselines.rematch_per_edge(frame(spark, rows), graph)
+    assert rows_of(got.drop("reported", "found")) == brute(rows, graph) and time.time() - began < 120
+    for graph in (PATTERNS[1], PATTERNS[4]):
+        rows = random_rows(6, 80)
+        for r in baselines.rematch_per_edge(frame(spark, rows), graph).collect():
+            assert r.found == len(brute(rows[: r.reported + 1], graph)) and r.reported == r.last_eid
