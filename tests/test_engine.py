@@ -553,3 +553,10 @@ def test_searches_after_each_edge_do_not_grow_with_the_stream(spark):
         rows = random_rows(6, 80)
         for r in baselines.rematch_per_edge(frame(spark, rows), graph).collect():
             assert r.found == len(brute(rows[: r.reported + 1], graph)) and r.reported == r.last_eid
+
+
+def test_periodic_search_broadcasts_no_earlier_result(spark):
+    graph, rows = PATTERNS[1], random_rows(7, 80)
+    got = baselines.rematch_every(frame(spark, rows), graph, 4, len(rows))
+    assert rows_of(got) == brute(rows, graph) != []
+    assert "Join" not in got._jdf.queryExecution().optimizedPlan().toString()
