@@ -10,7 +10,6 @@ the files, so any store works and a lost task is done again.
 from __future__ import annotations
 
 import re
-import unicodedata
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
@@ -41,7 +40,7 @@ CACHE_WORDS = 600_000
 #: Letters and marks on which all Unicode versions agree, so that a word of these alone is normalised here.
 _PLAIN = re.compile(r"[!-~À-ÖØ-öø-ÿ]+")
 #: Marks that often end a word.
-_ENDS = frozenset(".,;:!?")
+_ENDS = frozenset(b".,;:!?")
 _PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[^\W\d_]+|[0-9]|(?:[^\s\w]|_)+")
 
 
@@ -54,6 +53,14 @@ def _byte_chars() -> list[str]:
     return [table[b] for b in range(256)]
 
 
+class _Packed(dict):
+    """Id -> little-endian unsigned 32-bit integer."""
+
+    def __missing__(self, i: int) -> bytes:
+        got = self[i] = i.to_bytes(4, "little")
+        return got
+
+
 class WordIds(dict):
     """Word (bytes without white space) -> its ids as little-endian unsigned 32-bit integers.
 
@@ -68,6 +75,9 @@ class WordIds(dict):
         self.tokenizer = Tokenizer.from_file(path)
         self.model = self.tokenizer.model
         self.pieces: dict[str, bytes] = {}
+        #: Each id as bytes, and the printable stand-ins by byte.
+        self.packed = _Packed()
+        self.shown = dict(enumerate(_byte_chars()))
         # The short way is taken only with the normaliser and splitter that it stands for.
         import json
 
@@ -84,21 +94,23 @@ class WordIds(dict):
     def _piece(self, piece: str) -> bytes:
         got = self.pieces.get(piece)
         if got is None:
-            chars = _byte_chars()
-            mapped = "".join(chars[b] for b in piece.encode())
-            got = self.pieces[piece] = np.array([t.id for t in self.model.tokenize(mapped)], "<u4").tobytes()
+            mapped = piece if piece.isascii() else piece.encode().decode("latin-1").translate(self.shown)
+            got = self.pieces[piece] = b"".join([self.packed[t.id] for t in self.model.tokenize(mapped)])
         return got
 
     def __missing__(self, word: bytes) -> bytes:
-        text = word.decode()
-        letters = text[:-1] if text[-1:] in _ENDS else text
-        if self.short and letters.isascii() and letters.isalpha():
-            # Most words: letters, and perhaps one mark at the end; nothing to normalise or to split.
-            got = self._piece(letters.lower()) + (self._piece(text[-1]) if letters is not text else b"")
-        elif self.short and _PLAIN.fullmatch(text) and not ("<" in text and any(s in text for s in self.special)):
-            got = b"".join(map(self._piece, _PIECE.findall(unicodedata.normalize("NFC", text).lower())))
+        if self.short and word.isalpha():
+            # Most words: letters, and perhaps one mark at the end; nothing to normalise or to split. For bytes, isalpha holds for ASCII letters alone.
+            got = self._piece(word.lower().decode())
+        elif self.short and word[:-1].isalpha() and word[-1] in _ENDS:
+            got = self._piece(word[:-1].lower().decode()) + self._piece(chr(word[-1]))
         else:
-            got = self._whole(text)
+            text = word.decode()
+            # The letters of _PLAIN are composed, so that NFC leaves them as they are.
+            if self.short and _PLAIN.fullmatch(text) and not ("<" in text and any(s in text for s in self.special)):
+                got = b"".join(map(self._piece, _PIECE.findall(text.lower())))
+            else:
+                got = self._whole(text)
         if len(self) >= CACHE_WORDS:
             self.clear()
         if len(self.pieces) >= CACHE_WORDS:
