@@ -6,6 +6,7 @@ import random
 
 import pytest
 
+from graphwatch.api import watch
 from graphwatch.model import JoinTree, Leaf, pattern
 from graphwatch.functions.state import StateStore
 from graphwatch.model import ANY, QueryEdge, QueryGraph, QueryVertex
@@ -560,3 +561,44 @@ def test_periodic_search_broadcasts_no_earlier_result(spark):
     got = baselines.rematch_every(frame(spark, rows), graph, 4, len(rows))
     assert rows_of(got) == brute(rows, graph) != []
     assert "Join" not in got._jdf.queryExecution().optimizedPlan().toString()
+
+
+def listed(spark, find):
+    """400 articles with one part in common and one of their own; two share a further one. The matches, and the bytes that were shuffled for them, without broadcasts."""
+    edges = spark.range(800).selectExpr("id eid", "id div 2 + 10 src", "if(id % 2 = 0, 1L, if(id < 4, 2L, id + 5000)) dst", "'part' etype", "timestamp_ntz'2024-01-01' ts")
+    written = lambda: spark._jsc.sc().statusStore().executorList(False).apply(0).totalShuffleWrite()
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        before = written()
+        return {(r.v_a, r.v_x, r.v_b, r.v_y) for r in find(edges).collect()}, written() - before
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+DIAMOND = workload.facet_diamond("part", "part")
+DIAMONDS = {(a, x, 21 - a, 3 - x) for a in (10, 11) for x in (1, 2)}
+
+
+def test_partial_matches_that_nothing_closes_are_not_shuffled(spark):
+    """160,000 partial matches of three edges, of which four are completed."""
+    found, bytes_ = listed(spark, lambda e: watch(e, DIAMOND, "eager1", prefix=None))
+    assert found == DIAMONDS and bytes_ < 300_000
+
+
+@pytest.mark.parametrize("most", [1, 3, 256])
+def test_look_ahead_loses_no_match(spark, monkeypatch, most):
+    """Parallel edges, vertices with too many closing edges for a list, cycles of two to four, homomorphisms and time bounds."""
+    monkeypatch.setattr(matching, "MOST_ENDS", most)
+    for seed, graph in enumerate((DIAMOND, workload.facet_diamond("a", "b"), pattern("x -a> y", "z -b> y", "z -a> x"), pattern("x -a> y", "y -a> z", "y -b> z"))):
+        rows = random_rows(seed, 70, 9, "ab") if seed else [(e, s, d, "part") for e, s, d, _ in random_rows(9, 40, 9)]
+        tree = JoinTree(tuple(Leaf((e,)) for e in graph.edges))
+        assert matching.closing_edge(tree, len(graph.edges) - 2)
+        edges, want = frame(spark, rows), brute(rows, graph)
+        for gated, gate in ((False, "role"), (True, "role"), (True, "vertex")):
+            assert rows_of(matching.run_tree(edges, tree, graph, gated, gate)) == want != []
+        if most == 3:
+            settings = ({"semantics": "homomorphism"}, {"within": "'20' HOUR"}, {"back": False})
+            got = [rows_of(matching.run_tree(edges, tree, graph, **s)) for s in settings]
+            with monkeypatch.context() as plain:
+                plain.setattr(matching, "closing_edge", lambda *_: None)
+                assert got == [rows_of(matching.run_tree(edges, tree, graph, **s)) for s in settings]
