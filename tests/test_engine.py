@@ -579,9 +579,13 @@ DIAMOND = workload.facet_diamond("part", "part")
 DIAMONDS = {(a, x, 21 - a, 3 - x) for a in (10, 11) for x in (1, 2)}
 
 
-def test_partial_matches_that_nothing_closes_are_not_shuffled(spark):
+FORMS = {"eager1": lambda e: watch(e, DIAMOND, "eager1", prefix=None), "gated1": lambda e: watch(e, DIAMOND, "gated1", prefix=None)}
+
+
+@pytest.mark.parametrize("form", FORMS)
+def test_partial_matches_that_nothing_closes_are_not_shuffled(spark, form):
     """160,000 partial matches of three edges, of which four are completed."""
-    found, bytes_ = listed(spark, lambda e: watch(e, DIAMOND, "eager1", prefix=None))
+    found, bytes_ = listed(spark, FORMS[form])
     assert found == DIAMONDS and bytes_ < 300_000
 
 
