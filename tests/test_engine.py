@@ -579,7 +579,7 @@ DIAMOND = workload.facet_diamond("part", "part")
 DIAMONDS = {(a, x, 21 - a, 3 - x) for a in (10, 11) for x in (1, 2)}
 
 
-FORMS = {"eager1": lambda e: watch(e, DIAMOND, "eager1", prefix=None), "gated1": lambda e: watch(e, DIAMOND, "gated1", prefix=None)}
+FORMS = {"eager1": lambda e: watch(e, DIAMOND, "eager1", prefix=None), "gated1": lambda e: watch(e, DIAMOND, "gated1", prefix=None), "flat": lambda e: baselines.flat_join(e, DIAMOND)}
 
 
 @pytest.mark.parametrize("form", FORMS)
