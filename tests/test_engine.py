@@ -591,8 +591,9 @@ def test_partial_matches_that_nothing_closes_are_not_shuffled(spark, form):
 
 @pytest.mark.parametrize("most", [1, 3, 256])
 def test_look_ahead_loses_no_match(spark, monkeypatch, most):
-    """Parallel edges, vertices with too many closing edges for a list, cycles of two to four, homomorphisms and time bounds."""
+    """Parallel edges, vertices with too many closing edges for a list, slices, cycles of two to four, homomorphisms and time bounds."""
     monkeypatch.setattr(matching, "MOST_ENDS", most)
+    monkeypatch.setattr(matching, "SLICE_EDGES", 10 if most == 3 else 10_000)
     for seed, graph in enumerate((DIAMOND, workload.facet_diamond("a", "b"), pattern("x -a> y", "z -b> y", "z -a> x"), pattern("x -a> y", "y -a> z", "y -b> z"))):
         rows = random_rows(seed, 70, 9, "ab") if seed else [(e, s, d, "part") for e, s, d, _ in random_rows(9, 40, 9)]
         tree = JoinTree(tuple(Leaf((e,)) for e in graph.edges))
